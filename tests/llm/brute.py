@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import random
 import re
 from collections import Counter, defaultdict
 
@@ -98,3 +99,8 @@ def near(rows):
     links = [(a, b) for (a, b), n in both.items() if 100 * n >= 85 * (len(sets[a]) + len(sets[b]) - n)]
     comp = roots(sets, links)
     return {i: (len(sets[i]), comp[i]) for i in sets}
+
+
+def words(n, seed=0, vocabulary=4000):
+    r = random.Random(seed)
+    return [f"w{r.randrange(vocabulary)}" for _ in range(n)]

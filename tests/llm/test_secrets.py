@@ -1,0 +1,37 @@
+import brute
+from hypothesis import given, settings
+from hypothesis import strategies as st
+
+from rarecount.llm import op6_secrets as X
+
+KEY = "wJalrXUtnFEMIK7MDENGbPxRfiCYEXAMPLEKEYab"
+
+
+def check(spark, docs, data):
+    got = X.scan(docs(data)).collect()
+    assert len(got) == len(data)
+    want = {i: brute.secrets_base(t) for i, t in data}
+    for r in got:
+        assert (r.n_assign, r.n_access, r.n_hex, r.base_sha256) == want[r.doc_id], r
+    return {r.doc_id: r for r in got}
+
+
+def test_base_and_links(spark, docs):
+    access = "AKIA" + "A1B2C3D4E5F6G7H8"
+    data = [
+        (1, f"id {access} and {KEY} at https://store.example.com/x"),
+        (2, f"only {KEY} at https://store.example.com/x"),
+        (3, None), (4, ""), (5, "password = 'abcdef' secret=token : abcdefg Api_Key:\"zzzzzz\""),
+        (6, "é" * 50 + " deadbeefdeadbeefdeadbeef " + "𝄞" * 9 + "TOKEN=ABCDEFG"), (7, "AKIA" + "Z" * 15), (8, f"{access} " + "x " * 300 + KEY),
+        (9, "passwd:12345 passwd:123456" * 500), (9, "passwd:12345 passwd:123456" * 500),
+    ]
+    got = check(spark, docs, data)
+    assert "linked_key" in got[1].spans and "linked_endpoint" in got[1].spans
+    assert "linked" not in got[2].spans and "linked" not in got[8].spans
+    assert X.scan(docs([])).count() == 0
+
+
+@settings(max_examples=8, deadline=None)
+@given(st.lists(st.text(alphabet="pasword secret=:\"' tokenAKI0f9é\n", max_size=200), min_size=20, max_size=20))
+def test_any_text_equals_brute_force(spark, docs, texts):
+    check(spark, docs, [(i, t + "token=" + t[:9] + "0123456789abcdef01234567" * (i % 2)) for i, t in enumerate(texts)])
