@@ -8,11 +8,13 @@ the symbols are split into chunks so that, by the pigeonhole principle, some chu
 differing symbol, and each chunk is keyed by its symbols with each one left out in turn, which
 enumerates the allowed errors from both sides. Equal keys are candidates.
 
-No group's pairs are all made. Texts with equal sets are one class. Within a key, first each
-member is held against the key's smallest id (linear), and confirmed links are merged into components.
-Only keys whose members are still in different components are looked at pair by pair, in blocks of
-bounded size, and only pairs from different components within the distance go on to be confirmed on
-their full shingle sets. A link inside a component adds nothing to the components, so none is lost.
+No group's pairs are all made. Texts with equal sets are one class, and keys with equal members are one key.
+Within a key, first each member is held against the key's smallest id (linear), and confirmed links are
+merged into components. Keys whose members are still in different components are looked at in blocks of
+bounded size: in one round each member is held against the few nearest of other components, and after merging
+again, in the last round, against all of other components that are within the distance. Distances
+are taken on the indexed symbols and then on the longer signature, which is sharper. Pairs
+are confirmed on full shingle sets. A link inside a component adds nothing to the components, so none is lost.
 
 Defined results: texts that are null or without words have an empty set and link with nothing; fewer
 words than five are one shingle; rows that repeat an id are one node; a null id links with nothing and is kept;
@@ -33,6 +35,10 @@ from .shingles import multipliers, shared, shingle_set, signature
 
 SYMBOLS = 64
 DISTANCE = 25
+#: The whole signature, of which the first SYMBOLS are indexed, and its own distance, set as far out.
+CHECK_SYMBOLS = 256
+CHECK_DISTANCE = 68
+NEAREST = 4
 BLOCK = 2048
 PERCENT = 85
 
@@ -44,7 +50,7 @@ def chunks(k: int = SYMBOLS, distance: int = DISTANCE) -> list[tuple[int, int]]:
     return [(lo, hi - lo) for lo, hi in zip(cuts, cuts[1:], strict=False)]
 
 
-def signatures(df: DataFrame, id_col: str, text: str, k: int = SYMBOLS) -> DataFrame:
+def signatures(df: DataFrame, id_col: str, text: str, k: int = CHECK_SYMBOLS) -> DataFrame:
     """doc, n_shingles, set_id (128-bit digest of the whole set) and sig of every row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -108,27 +114,36 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     )
 
 
-def within(pairs: DataFrame, reps: DataFrame, distance: int) -> DataFrame:
-    """Those of the pairs (a, b) whose signatures differ in at most ``distance`` symbols."""
+def apart(x: np.ndarray, y: np.ndarray, near: tuple[int, int, int]) -> np.ndarray:
+    """Row by row: differing symbols of the whole signatures, or a large number if either distance is exceeded."""
+    indexed, distance, check = near
+    out = np.full(len(x), 1 << 20, np.int64)
+    hit = np.flatnonzero((x[:, :indexed] != y[..., :indexed]).sum(axis=1) <= distance)
+    if len(hit):
+        far = (x[hit] != (y[hit] if y.ndim > 1 else y)).sum(axis=1)
+        out[hit] = np.where(far <= check, far, 1 << 20)
+    return out
+
+
+def within(pairs: DataFrame, reps: DataFrame, near: tuple[int, int, int]) -> DataFrame:
+    """Those of the pairs (a, b) whose signatures are near enough."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
                 x, y = (np.frombuffer(b"".join(batch.column(i).to_pylist()), np.uint16).reshape(batch.num_rows, -1) for i in (2, 3))
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(
-                    pa.array((x != y).sum(axis=1) <= distance)
-                )
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(apart(x, y, near) < 1 << 20))
 
     first = reps.select(F.col("doc").alias("a"), F.col("sig").alias("sa"))
     second = reps.select(F.col("doc").alias("b"), F.col("sig").alias("sb"))
     return pairs.join(first, "a").join(second, "b").select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-def block_pairs(mixed: DataFrame, percent: int, distance: int, block: int) -> DataFrame:
-    """Pairs from different components within the distance, found in blocks of each key's members.
+def block_pairs(mixed: DataFrame, percent: int, near: tuple[int, int, int], block: int, nearest: int | None) -> DataFrame:
+    """Pairs from different components within the distances, found in blocks of each key's members.
 
     ``mixed`` has key, members (its size), doc, n, comp, sig. A key with more than ``block`` members is dealt
-    into numbered blocks, and each two blocks meet in a task of their own.
+    into numbered blocks, and each two blocks meet in a task of their own. With ``nearest``, only so many of each member.
     """
     parts = F.ceil(F.col("members") / block).cast("int")
     own = F.pmod(F.xxhash64("doc", "key"), parts).cast("int")
@@ -144,16 +159,21 @@ def block_pairs(mixed: DataFrame, percent: int, distance: int, block: int) -> Da
         sig = np.frombuffer(b"".join(table["sig"].to_pylist()), np.uint16).reshape(len(doc), -1)[order]
         i, j = table["i"][0].as_py(), table["j"][0].as_py()
         left, right = [], []
-        for at in range(len(doc) - 1):
-            rest = slice(at + 1, None)
-            fit = (comp[rest] != comp[at]) & (100 * np.minimum(n[rest], n[at]) >= percent * np.maximum(n[rest], n[at]))
+        for at in range(len(doc)):
+            fit = (comp != comp[at]) & (100 * np.minimum(n, n[at]) >= percent * np.maximum(n, n[at]))
+            if nearest is None:
+                fit[: at + 1] = False
             if i != j:
-                fit &= own[rest] != own[at]
+                fit &= own != own[at]
             hit = np.flatnonzero(fit)
             if len(hit):
-                hit = hit[(sig[at + 1 + hit] != sig[at]).sum(axis=1) <= distance]
-                left += [doc[at]] * len(hit)
-                right += doc[at + 1 + hit].tolist()
+                far = apart(sig[hit], sig[at], near)
+                good = far < 1 << 20
+                hit, far = hit[good], far[good]
+                if nearest is not None and len(hit) > nearest:
+                    hit = hit[np.argsort(far, kind="stable")[:nearest]]
+                left += np.minimum(doc[at], doc[hit]).tolist()
+                right += np.maximum(doc[at], doc[hit]).tolist()
         return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
     flat = dealt.select("key", F.col("m.i").alias("i"), F.col("m.j").alias("j"), "doc", "n", "comp", "own", "sig")
@@ -167,38 +187,39 @@ def near_duplicates(
     percent: int = PERCENT,
     symbols: int = SYMBOLS,
     distance: int = DISTANCE,
+    check_symbols: int = CHECK_SYMBOLS,
+    check_distance: int = CHECK_DISTANCE,
     block: int = BLOCK,
 ) -> DataFrame:
     """One row per input row: ``id_col``, n_shingles, component_id, kept."""
-    rows = stored(signatures(df, id_col, text, symbols), "signatures")
+    near = (symbols, distance, check_distance)
+    rows = stored(signatures(df, id_col, text, check_symbols), "signatures")
     # Equal sets are one class; its smallest id stands for it.
-    reps = (
-        rows.where("n_shingles > 0 and doc is not null")
-        .groupBy("set_id", F.col("n_shingles").alias("n"))
-        .agg(F.min("doc").alias("doc"), F.min("sig").alias("sig"))
-    )
+    valid = rows.where("n_shingles > 0 and doc is not null")
+    reps = valid.groupBy("set_id", F.col("n_shingles").alias("n")).agg(F.min("doc").alias("doc"), F.min("sig").alias("sig"))
     reps = stored(reps, "classes")
     keys = keyed(reps, symbols, distance)
-    shared_keys = keys.groupBy("key").agg(F.count("*").alias("members"), F.min("doc").alias("first")).where("members > 1")
-    many = stored(keys.join(shared_keys, "key").select("key", "members", "first", "doc", "n"), "keys")
+    # Keys that share the same members (told by two sums of hashes) are one.
+    h = F.xxhash64("doc")
+    shared_keys = keys.groupBy("key").agg(
+        F.count("*").alias("members"), F.min("doc").alias("first"), F.bit_xor(h).alias("h1"), F.sum(F.shiftrightunsigned(h, 33)).alias("h2")
+    )
+    shared_keys = shared_keys.where("members > 1").groupBy("members", "first", "h1", "h2").agg(F.min("key").alias("key"))
+    many = stored(keys.join(shared_keys.select("key", "members", "first"), "key").select("key", "members", "first", "doc", "n"), "keys")
 
-    texts = df.select(F.col(id_col).cast("long").alias("doc"), F.col(text).alias("t"))
-    ids = reps.select("doc")
+    texts = df.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc"), F.col(text).alias("t"))
     star = many.where("doc <> first").select(F.col("first").alias("a"), F.col("doc").alias("b")).distinct()
-    sizes = reps.select("doc", "n")
-    texts = texts.where(F.col("doc").isNotNull())
-    copies = rows.where("n_shingles > 0 and doc is not null").select("doc", "set_id", F.col("n_shingles").alias("n"))
-    copies = copies.join(reps.select("set_id", "n", F.col("doc").alias("rep")), ["set_id", "n"]).select("doc", "rep")
-    links = stored(confirmed(within(star, reps, distance), texts, percent), "links")
-    first_round = connected_components(links)
-
-    comp = many.select("key", "members", "doc", "n").join(first_round, many["doc"] == first_round["node"], "left")
-    comp = comp.select("key", "members", "doc", "n", F.coalesce("root", "doc").alias("comp"))
-    open_keys = comp.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-    mixed = comp.join(open_keys, "key").join(reps.select("doc", "sig"), "doc")
-    del ids, sizes
-    more = stored(confirmed(block_pairs(mixed, percent, distance, block), texts, percent), "links")
-    edges = links.unionByName(more).unionByName(copies.where("doc <> rep").select(F.col("doc").alias("u"), F.col("rep").alias("v")))
+    links = stored(confirmed(within(star, reps, near), texts, percent), "links")
+    for nearest in (NEAREST, None):
+        merged = connected_components(links)
+        comp = many.join(merged, many["doc"] == merged["node"], "left").select("key", "members", "doc", "n", F.coalesce("root", "doc").alias("comp"))
+        open_keys = comp.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
+        mixed = comp.join(open_keys, "key").join(reps.select("doc", "sig"), "doc")
+        more = stored(confirmed(block_pairs(mixed, percent, near, block, nearest), texts, percent), "links")
+        links = links.unionByName(more)
+    copies = valid.select("doc", "set_id", F.col("n_shingles").alias("n"))
+    copies = copies.join(reps.select("set_id", "n", F.col("doc").alias("v")), ["set_id", "n"]).select(F.col("doc").alias("u"), "v").where("u <> v")
+    edges = links.unionByName(copies)
     roots = connected_components(edges)
     out = rows.select("doc", "n_shingles").join(roots, F.col("doc") == F.col("node"), "left")
     out = out.select(F.col("doc").alias(id_col), "n_shingles", F.coalesce("root", "doc").alias("component_id"))
