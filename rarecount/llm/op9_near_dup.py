@@ -12,8 +12,9 @@ No group's pairs are all made. Texts with equal sets are one class, and keys wit
 Within a key, first each member is held against the key's smallest id (linear), and confirmed links are
 merged into components. Keys whose members are still in different components are looked at in blocks of
 bounded size: in one round each member is held against the few nearest of other components, and after merging
-again, in the last round, against all of other components that are within the distance. Distances
-are taken on the indexed symbols and then on the longer signature, which is sharper. Pairs
+again, in the last round, against all of other components that may be links. To that end each set also has
+counts of its shingles in hashed bins: the sum of the lesser counts bounds the intersection from above, with
+certainty, so pairs below the threshold hardly ever come to be compared as texts. Pairs
 are confirmed on full shingle sets. A link inside a component adds nothing to the components, so none is lost.
 
 Defined results: texts that are null or without words have an empty set and link with nothing; fewer
@@ -35,9 +36,8 @@ from .shingles import multipliers, shared, shingle_set, signature
 
 SYMBOLS = 64
 DISTANCE = 25
-#: The whole signature, of which the first SYMBOLS are indexed, and its own distance, set as far out.
-CHECK_SYMBOLS = 256
-CHECK_DISTANCE = 68
+#: Bins of a set's bin counts, and the largest set for which they are used.
+BINS, MOST_BINNED = 512, 50_000
 NEAREST = 4
 BLOCK = 2048
 PERCENT = 85
@@ -50,13 +50,13 @@ def chunks(k: int = SYMBOLS, distance: int = DISTANCE) -> list[tuple[int, int]]:
     return [(lo, hi - lo) for lo, hi in zip(cuts, cuts[1:], strict=False)]
 
 
-def signatures(df: DataFrame, id_col: str, text: str, k: int = CHECK_SYMBOLS) -> DataFrame:
-    """doc, n_shingles, set_id (128-bit digest of the whole set) and sig of every row."""
+def signatures(df: DataFrame, id_col: str, text: str, k: int = SYMBOLS) -> DataFrame:
+    """doc, n_shingles, set_id (128-bit digest of the whole set), sig and bins of every row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a, b = multipliers(k)
         for batch in batches:
-            size, key, sig = [], [], []
+            size, key, sig, bins = [], [], [], []
             for t in batch.column(1):
                 s = shingle_set(t.as_py())
                 size.append(len(s))
@@ -64,16 +64,18 @@ def signatures(df: DataFrame, id_col: str, text: str, k: int = CHECK_SYMBOLS) ->
                     both = (s.sum(dtype=np.uint64), (s * (s >> np.uint64(7) | np.uint64(1))).sum(dtype=np.uint64))
                     key.append(np.array(both, np.uint64).tobytes())
                     sig.append(signature(s, a, b).tobytes())
+                    bins.append(np.minimum(np.bincount(s >> np.uint64(55), minlength=BINS), 255).astype(np.uint8).tobytes())
                 else:
                     key.append(None)
                     sig.append(None)
+                    bins.append(None)
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(size, pa.int64()), pa.array(key, pa.binary()), pa.array(sig, pa.binary())],
-                names=["doc", "n_shingles", "set_id", "sig"],
+                [batch.column(0), pa.array(size, pa.int64()), pa.array(key, pa.binary()), pa.array(sig, pa.binary()), pa.array(bins, pa.binary())],
+                names=["doc", "n_shingles", "set_id", "sig", "bins"],
             )
 
     return df.select(F.col(id_col).cast("long").alias("doc"), F.col(text).alias("t")).mapInArrow(
-        run, "doc long, n_shingles long, set_id binary, sig binary"
+        run, "doc long, n_shingles long, set_id binary, sig binary, bins binary"
     )
 
 
@@ -114,35 +116,45 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     )
 
 
-def apart(x: np.ndarray, y: np.ndarray, near: tuple[int, int, int]) -> np.ndarray:
-    """Row by row: differing symbols of the whole signatures, or a large number if either distance is exceeded."""
-    indexed, distance, check = near
-    out = np.full(len(x), 1 << 20, np.int64)
-    hit = np.flatnonzero((x[:, :indexed] != y[..., :indexed]).sum(axis=1) <= distance)
-    if len(hit):
-        far = (x[hit] != (y[hit] if y.ndim > 1 else y)).sum(axis=1)
-        out[hit] = np.where(far <= check, far, 1 << 20)
+def bound(x: tuple, y: tuple, distance: int, percent: int) -> np.ndarray:
+    """Row by row: an upper bound of the similarity of pairs that may be links, and -1 for those that can't.
+
+    x and y: sizes, signatures and bin counts; y may be one row for all.
+    """
+    (nx, sx, bx), (ny, sy, by) = x, y
+    ny = np.broadcast_to(ny, nx.shape)
+    out = np.full(len(nx), -1.0)
+    fit = 100 * np.minimum(nx, ny) >= percent * np.maximum(nx, ny)
+    hit = np.flatnonzero(fit)
+    hit = hit[(sx[hit] != (sy[hit] if sy.ndim > 1 else sy)).sum(axis=1) <= distance]
+    both = np.minimum(bx[hit], by[hit] if by.ndim > 1 else by).sum(axis=1, dtype=np.int64)
+    both = np.where(np.maximum(nx[hit], ny[hit]) > MOST_BINNED, np.minimum(nx[hit], ny[hit]), both)
+    out[hit] = np.where(100 * both >= percent * (nx[hit] + ny[hit] - both), both / np.maximum(1, nx[hit] + ny[hit] - both), -1.0)
     return out
 
 
-def within(pairs: DataFrame, reps: DataFrame, near: tuple[int, int, int]) -> DataFrame:
-    """Those of the pairs (a, b) whose signatures are near enough."""
+def matrix(column, kind) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), kind).reshape(len(column), -1)
+
+
+def within(pairs: DataFrame, reps: DataFrame, distance: int, percent: int) -> DataFrame:
+    """Those of the pairs (a, b) whose signatures and bins allow a link."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                x, y = (np.frombuffer(b"".join(batch.column(i).to_pylist()), np.uint16).reshape(batch.num_rows, -1) for i in (2, 3))
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(apart(x, y, near) < 1 << 20))
+                x, y = ((batch.column(i).to_numpy(), matrix(batch.column(i + 1), np.uint16), matrix(batch.column(i + 2), np.uint8)) for i in (2, 5))
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(bound(x, y, distance, percent) >= 0))
 
-    first = reps.select(F.col("doc").alias("a"), F.col("sig").alias("sa"))
-    second = reps.select(F.col("doc").alias("b"), F.col("sig").alias("sb"))
-    return pairs.join(first, "a").join(second, "b").select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
+    one, two = (reps.select(F.col("doc").alias(k), *[F.col(c).alias(c + k) for c in ("n", "sig", "bins")]) for k in ("a", "b"))
+    both = pairs.join(one, "a").join(two, "b").select("a", "b", "na", "siga", "binsa", "nb", "sigb", "binsb")
+    return both.mapInArrow(run, "a long, b long")
 
 
-def block_pairs(mixed: DataFrame, percent: int, near: tuple[int, int, int], block: int, nearest: int | None) -> DataFrame:
-    """Pairs from different components within the distances, found in blocks of each key's members.
+def block_pairs(mixed: DataFrame, percent: int, distance: int, block: int, nearest: int | None) -> DataFrame:
+    """Pairs from different components that may be links, found in blocks of each key's members.
 
-    ``mixed`` has key, members (its size), doc, n, comp, sig. A key with more than ``block`` members is dealt
+    ``mixed`` has key, members (its size), doc, n, comp, sig, bins. A key with more than ``block`` members is dealt
     into numbered blocks, and each two blocks meet in a task of their own. With ``nearest``, only so many of each member.
     """
     parts = F.ceil(F.col("members") / block).cast("int")
@@ -151,32 +163,31 @@ def block_pairs(mixed: DataFrame, percent: int, near: tuple[int, int, int], bloc
         "meets",
         F.transform(F.sequence(F.lit(0), parts - 1), lambda o: F.struct(F.least("own", o).alias("i"), F.greatest("own", o).alias("j"))),
     )
-    dealt = dealt.select("key", "doc", "n", "comp", "sig", "own", F.explode("meets").alias("m"))
+    dealt = dealt.select("key", "doc", "n", "comp", "sig", "bins", "own", F.explode("meets").alias("m"))
 
     def run(table: pa.Table) -> pa.Table:
         order = np.argsort(table["doc"].to_numpy(), kind="stable")
         doc, n, comp, own = (table[c].to_numpy()[order] for c in ("doc", "n", "comp", "own"))
-        sig = np.frombuffer(b"".join(table["sig"].to_pylist()), np.uint16).reshape(len(doc), -1)[order]
+        sig, bins = matrix(table["sig"], np.uint16)[order], matrix(table["bins"], np.uint8)[order]
         i, j = table["i"][0].as_py(), table["j"][0].as_py()
         left, right = [], []
         for at in range(len(doc)):
-            fit = (comp != comp[at]) & (100 * np.minimum(n, n[at]) >= percent * np.maximum(n, n[at]))
+            fit = comp != comp[at]
             if nearest is None:
                 fit[: at + 1] = False
             if i != j:
                 fit &= own != own[at]
             hit = np.flatnonzero(fit)
             if len(hit):
-                far = apart(sig[hit], sig[at], near)
-                good = far < 1 << 20
-                hit, far = hit[good], far[good]
+                most = bound((n[hit], sig[hit], bins[hit]), (n[at], sig[at], bins[at]), distance, percent)
+                hit, most = hit[most >= 0], most[most >= 0]
                 if nearest is not None and len(hit) > nearest:
-                    hit = hit[np.argsort(far, kind="stable")[:nearest]]
+                    hit = hit[np.argsort(-most, kind="stable")[:nearest]]
                 left += np.minimum(doc[at], doc[hit]).tolist()
                 right += np.maximum(doc[at], doc[hit]).tolist()
         return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
-    flat = dealt.select("key", F.col("m.i").alias("i"), F.col("m.j").alias("j"), "doc", "n", "comp", "own", "sig")
+    flat = dealt.select("key", F.col("m.i").alias("i"), F.col("m.j").alias("j"), "doc", "n", "comp", "own", "sig", "bins")
     return flat.groupBy("key", "i", "j").applyInArrow(run, "a long, b long").distinct()
 
 
@@ -187,16 +198,13 @@ def near_duplicates(
     percent: int = PERCENT,
     symbols: int = SYMBOLS,
     distance: int = DISTANCE,
-    check_symbols: int = CHECK_SYMBOLS,
-    check_distance: int = CHECK_DISTANCE,
     block: int = BLOCK,
 ) -> DataFrame:
     """One row per input row: ``id_col``, n_shingles, component_id, kept."""
-    near = (symbols, distance, check_distance)
-    rows = stored(signatures(df, id_col, text, check_symbols), "signatures")
+    rows = stored(signatures(df, id_col, text, symbols), "signatures")
     # Equal sets are one class; its smallest id stands for it.
     valid = rows.where("n_shingles > 0 and doc is not null")
-    reps = valid.groupBy("set_id", F.col("n_shingles").alias("n")).agg(F.min("doc").alias("doc"), F.min("sig").alias("sig"))
+    reps = valid.groupBy("set_id", F.col("n_shingles").alias("n")).agg(F.min("doc").alias("doc"), F.min("sig").alias("sig"), F.min("bins").alias("bins"))
     reps = stored(reps, "classes")
     keys = keyed(reps, symbols, distance)
     # Keys that share the same members (told by two sums of hashes) are one.
@@ -209,13 +217,13 @@ def near_duplicates(
 
     texts = df.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc"), F.col(text).alias("t"))
     star = many.where("doc <> first").select(F.col("first").alias("a"), F.col("doc").alias("b")).distinct()
-    links = stored(confirmed(within(star, reps, near), texts, percent), "links")
+    links = stored(confirmed(within(star, reps, distance, percent), texts, percent), "links")
     for nearest in (NEAREST, None):
         merged = connected_components(links)
         comp = many.join(merged, many["doc"] == merged["node"], "left").select("key", "members", "doc", "n", F.coalesce("root", "doc").alias("comp"))
         open_keys = comp.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-        mixed = comp.join(open_keys, "key").join(reps.select("doc", "sig"), "doc")
-        more = stored(confirmed(block_pairs(mixed, percent, near, block, nearest), texts, percent), "links")
+        mixed = comp.join(open_keys, "key").join(reps.select("doc", "sig", "bins"), "doc")
+        more = stored(confirmed(block_pairs(mixed, percent, distance, block, nearest), texts, percent), "links")
         links = links.unionByName(more)
     copies = valid.select("doc", "set_id", F.col("n_shingles").alias("n"))
     copies = copies.join(reps.select("set_id", "n", F.col("doc").alias("v")), ["set_id", "n"]).select(F.col("doc").alias("u"), "v").where("u <> v")
