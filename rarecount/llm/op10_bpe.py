@@ -24,6 +24,7 @@ import unicodedata
 from collections.abc import Iterator
 from hashlib import sha256
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -36,7 +37,10 @@ BY_SPACE = re.compile(f"[{SPACE}]+")
 #: The splitting pattern of the vocabulary file (fixed value), white space spelled out.
 PIECES = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|\p{{L}}+|\p{{N}}|[^{SPACE}\p{{L}}\p{{N}}]+")
 LONG = 200
-GENERATION = 120_000
+#: Entries of a cache's generation: of word pieces, of runs between white space, and of fragments.
+WORDS, CHUNKS, FRAGMENTS = 150_000, 30_000, 30_000
+#: Characters of text that a worker turns into output at a time.
+SLICE = 2_000_000
 
 
 def byte_symbols() -> list[str]:
@@ -49,7 +53,7 @@ def byte_symbols() -> list[str]:
 class Generations(dict):
     """A dict that computes missing values and forgets the older half of them at a bounded size."""
 
-    def __init__(self, make, most: int = GENERATION):
+    def __init__(self, make, most: int):
         super().__init__()
         self.make, self.most, self.old = make, most, {}
 
@@ -72,57 +76,66 @@ class ForcedBoundaryBpe:
         vocab: dict[str, int] = model["vocab"]
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.text_of = {i: t for t, i in {**vocab, **self.special}.items()}
-        self.symbols = byte_symbols()
-        self.vocab = vocab
+        symbols = byte_symbols()
+        #: Ids of byte symbols within and at the end of a word; those missing from the vocabulary count as -1.
+        self.within = [vocab.get(x, -1) for x in symbols]
+        self.at_end = [vocab.get(x + self.end, -1) for x in symbols]
         pairs = [tuple(m.split(" ")) if isinstance(m, str) else tuple(m) for m in model["merges"]]
         self.rank = {(vocab[a], vocab[b]): i for i, (a, b) in reversed(list(enumerate(pairs))) if a + b in vocab}
         self.result = [vocab.get(a + b, -1) for a, b in pairs]
         #: Pairs of neighbours inside any token; the last symbol of a word is another than the same byte within.
         inside = set()
         for token in vocab:
-            body = token.removesuffix(self.end) if self.end and len(token) > len(self.end) else token
-            units = list(body)
-            if body is not token and body != token:
+            units = list(token.removesuffix(self.end)) if self.end and len(token) > len(self.end) else list(token)
+            if self.end and token.endswith(self.end) and len(token) > len(self.end):
                 units[-1] += self.end
-            inside.update(zip(units, units[1:], strict=False))
+            inside.update((vocab[x], vocab[y]) for x, y in zip(units, units[1:], strict=False) if x in vocab and y in vocab)
         self.inside = inside
+        none = len(self.result)
+        self.first_rank = {p: self.rank.get(p, none) for p in inside}
         self.split_special = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        self.fragments = Generations(self.fragment_texts)
-        self.words = Generations(self.word_texts)
-        self.chunks = Generations(self.chunk_texts)
-
-    def cut(self, word: str) -> list[tuple[str, ...]]:
-        """The fragments of a piece, as symbols, between forced boundaries."""
-        units = [self.symbols[b] for b in word.encode("utf-8", "surrogatepass")]
-        units[-1] += self.end
+        self.fragments = Generations(self.fragment_texts, FRAGMENTS)
+        self.words = Generations(self.word_texts, WORDS)
+        self.chunks = Generations(self.chunk_texts, CHUNKS)
+
+    def cut(self, word: str) -> list[tuple[int, ...]]:
+        """The fragments of a piece, as ids of byte symbols, between forced boundaries."""
+        raw = word.encode("utf-8", "surrogatepass")
+        ids = list(map(self.within.__getitem__, raw))
+        ids[-1] = self.at_end[raw[-1]]
+        if self.inside.issuperset(zip(ids, ids[1:], strict=False)):
+            return [tuple(ids)]
         inside, out, at = self.inside, [], 0
-        for i, pair in enumerate(zip(units, units[1:], strict=False), 1):
+        for i, pair in enumerate(zip(ids, ids[1:], strict=False), 1):
             if pair not in inside:
-                out.append(tuple(units[at:i]))
+                out.append(tuple(ids[at:i]))
                 at = i
-        out.append(tuple(units[at:]))
+        out.append(tuple(ids[at:]))
         return out
 
-    def merge(self, fragment: tuple[str, ...]) -> tuple[int, ...]:
-        ids = [self.vocab[s] for s in fragment if s in self.vocab]
+    def merge(self, fragment: tuple[int, ...]) -> list[int]:
+        ids = list(fragment)
+        if len(ids) == 1:
+            return ids if ids[0] >= 0 else []
         if len(ids) > LONG:
             return self.merge_long(ids)
-        get, none = self.rank.get, len(self.result)
-        ranks = [get(p, none) for p in zip(ids, ids[1:], strict=False)]
+        # Within a fragment every pair is one inside some token, so its rank is known.
+        get, none, result = self.rank.get, len(self.result), self.result
+        ranks = list(map(self.first_rank.__getitem__, zip(ids, ids[1:], strict=False)))
         while ranks:
             best = min(ranks)
             if best == none:
                 break
             i = ranks.index(best)
-            ids[i : i + 2] = [self.result[best]]
+            ids[i : i + 2] = [result[best]]
             del ranks[i]
             if i:
                 ranks[i - 1] = get((ids[i - 1], ids[i]), none)
             if i < len(ranks):
                 ranks[i] = get((ids[i], ids[i + 1]), none)
-        return tuple(ids)
+        return ids
 
-    def merge_long(self, ids: list[int]) -> tuple[int, ...]:
+    def merge_long(self, ids: list[int]) -> list[int]:
         """The same merges from a heap over a linked list."""
         n = len(ids)
         after, before, alive = list(range(1, n + 1)), list(range(-1, n - 1)), [True] * n
@@ -139,9 +152,9 @@ class ForcedBoundaryBpe:
             for x in (before[i], i):
                 if x >= 0 and after[x] < n and (q := self.rank.get((ids[x], ids[after[x]]))) is not None:
                     heapq.heappush(heap, (q, x, ids[x], ids[after[x]]))
-        return tuple(x for x, ok in zip(ids, alive, strict=True) if ok)
+        return [x for x, ok in zip(ids, alive, strict=True) if ok]
 
-    def fragment_texts(self, fragment: tuple[str, ...]) -> tuple[str, str]:
+    def fragment_texts(self, fragment: tuple[int, ...]) -> tuple[str, str]:
         ids = self.merge(fragment)
         return " ".join(map(str, ids)), " ".join(map(self.text_of.__getitem__, ids))
 
@@ -214,21 +227,27 @@ def encode(df: DataFrame, id_col: str = "doc_id", text: str = "text", path: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = encoder(shared.value)
+        names = [id_col, "n_tokens", "ids_sha256", "decoded_sha256", *["ids"] * with_ids]
         for batch in batches:
+            start, size = 0, 0
             n, a, b, lists = [], [], [], []
-            for t in batch.column(1):
-                ids, decoded = bpe.encode_text(t.as_py())
+            for k, t in enumerate(batch.column(1)):
+                text = t.as_py()
+                ids, decoded = bpe.encode_text(text)
                 n.append(ids.count(" ") + 1 if ids else 0)
                 a.append(sha256(ids.encode()).hexdigest())
                 b.append(sha256(decoded.encode()).hexdigest())
                 if with_ids:
-                    lists.append(list(map(int, ids.split())))
-            cols = [batch.column(0), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
-            names = [id_col, "n_tokens", "ids_sha256", "decoded_sha256"]
-            if with_ids:
-                cols.append(pa.array(lists, pa.list_(pa.int32())))
-                names.append("ids")
-            yield pa.RecordBatch.from_arrays(cols, names=names)
+                    lists.append(np.array(ids.split(), np.int32))
+                size += len(text or "")
+                if size >= SLICE or k == batch.num_rows - 1:
+                    cols = [batch.column(0).slice(start, k + 1 - start), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
+                    if with_ids:
+                        ends = np.concatenate(([0], np.cumsum([len(x) for x in lists]))).astype(np.int32)
+                        cols.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(lists))))
+                    yield pa.RecordBatch.from_arrays(cols, names=names)
+                    start, size = k + 1, 0
+                    n, a, b, lists = [], [], [], []
 
     schema = f"`{id_col}` {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
     return df.select(F.col(id_col), F.col(text)).mapInArrow(run, schema)
