@@ -164,3 +164,19 @@ def test_library_stands_without_the_optional_part():
         if "/llm/" not in p:
             with open(p) as f:
                 assert ".llm" not in f.read(), p
+
+
+def test_experiments_show_the_reported_behaviour(spark):
+    from rarecount.plans import workloads as W
+
+    sf = "/root/testdata/sf0.001"
+    rows = list(W.communication(spark, sf, rates=(0.1, 0.4)))
+    assert rows[1]["dictionary"] > 2.5 * rows[0]["dictionary"] and rows[1]["sketch_b10"] == rows[0]["sketch_b10"]
+    hats = [r["f1_hat"] for r in W.routes(spark, sf, sites=(5,))]
+    assert max(hats) - min(hats) < 1e-6
+    prof = W.population_profile(spark, "poisson_50", 2000)
+    local = P.local_counts(W.simulated(prof, 0.02, 8)).cache()
+    share = G.singletons_exact_sets(local).first().f1 / P.merged(local).count()
+    assert abs(share - A.poisson_share(50, 0.02)) < 0.06
+    hat = G.singletons_runner_up(G.site_registers(local, 14, hashing="fast"), 14).first().f1_hat
+    assert abs(hat / G.singletons_exact_sets(local).first().f1 - 1) < 0.1
