@@ -35,7 +35,7 @@ PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 DATE = "2024-01-01T00:00:00Z"
 
 DICTIONARY_BYTES = 16_384
-SAMPLE_RECORDS = 256
+SAMPLE_RECORDS, SAMPLE_BYTES = 256, 4096
 ROLL_BYTES = 64 << 20
 
 
@@ -119,11 +119,14 @@ def summary(raw: bytes) -> tuple[int | None, int, str, str, int | None]:
 
 
 def trained(samples: list[bytes]) -> zstandard.ZstdCompressionDict | None:
-    """A dictionary of the first records, or none where they are too few or too alike."""
-    if len(samples) < 16:
+    """A dictionary of the starts of the first records, or none where they are too few or too alike.
+
+    Segment length and step are given, since searching for them takes hundreds of MB."""
+    starts = list(dict.fromkeys(s[:SAMPLE_BYTES] for s in samples))
+    if len(starts) < 16:
         return None
     try:
-        return zstandard.train_dictionary(DICTIONARY_BYTES, [s[:65_536] for s in samples])
+        return zstandard.train_dictionary(DICTIONARY_BYTES, starts, k=256, d=8)
     except zstandard.ZstdError:
         return None
 
@@ -250,7 +253,8 @@ def read_archives(archives: DataFrame) -> DataFrame:
                     if rows:
                         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
 
-    spread = archives.select("path", "records").repartition("path")
+    # A given number of partitions, so that small rows that stand for large files aren't put together.
+    spread = archives.select("path", "records").repartition(max(1, min(10_000, archives.count())), "path")
     return spread.mapInArrow(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
