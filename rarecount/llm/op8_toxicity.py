@@ -35,6 +35,8 @@ SAMPLE, SAMPLE_CHARS = 1500, 30_000
 EPOCHS, BATCH, RATE = 8, 256, 0.01
 #: Small samples are gone through more often, to about so many steps; the first quarter takes all windows.
 STEPS = 150
+#: Pull of input vectors towards zero, a step and unit of rate.
+DECAY = 0.3
 KNOWN = 150_000
 #: Everything in ASCII but letters separates words; other bytes belong to letters.
 _TABLE = bytes(c if c >= 128 or chr(c).isalpha() else 32 for c in range(256))
@@ -204,7 +206,8 @@ def train(rows: list[tuple[str, int]], seed: int = 8) -> Network | None:
     for epoch in range(epochs):
         pos, neg = np.flatnonzero(y_of == 1), np.flatnonzero(y_of == 0)
         if epoch >= epochs // 4:
-            logit = scores(net, names, table)
+            if (epoch - epochs // 4) % max(1, epochs // 12) == 0:
+                logit = scores(net, names, table)
             worst = np.array([s + int(logit[s:e].argmax()) for s, e in zip(starts, [*starts[1:], len(wins)], strict=True)])
             pos = worst[doc_y == 1]
             hard = worst[doc_y == 0]
@@ -226,7 +229,7 @@ def train(rows: list[tuple[str, int]], seed: int = 8) -> Network | None:
             rate = RATE * (1 if epoch < 3 * epochs // 4 else 0.3)
             for k, d in g.items():
                 if k in ("words", "chars"):
-                    d = d + 1e-5 * net.p[k]
+                    net.p[k] *= 1 - rate * DECAY
                 m[k] += 0.1 * (d - m[k])
                 v2[k] += 0.001 * (d * d - v2[k])
                 net.p[k] -= (rate * (m[k] / (1 - 0.9**step)) / (np.sqrt(v2[k] / (1 - 0.999**step)) + 1e-6)).astype(np.float32)
