@@ -11,13 +11,15 @@ from pyspark.sql.window import Window
 from ..functions import estimators as E
 from ..functions import sketches as K
 from ..functions import sqlapi
+from ..operators import analysis as A
+from ..operators import metrics as M
 from ..operators import profile as P
 from ..operators import singletons as G
 from ..sources import sinks
 from ..sources.tables import table
 from ..streaming import windows as W
 from . import sqltext as Q
-from .queries import _TRUE, MAIN, RATE, SITES, _near, c, evidence, local, register, regs, sampled, sql_evidence, values, with_
+from .queries import _TRUE, MAIN, RATE, SITES, _near, c, evidence, local, oracle_sql, queries, register, sampled, sql_evidence, values, with_
 
 # Sources and sinks ----------------------------------------------------------------------------------
 
@@ -304,10 +306,70 @@ register(
     "SELECT l_returnflag, round(d + (sqrt(rows_all / n::DOUBLE) - 1) * f1, 4) AS d_hat FROM e JOIN p USING (l_returnflag)",
 )
 
+def _bucketed(s: SparkSession, d: str) -> DataFrame:
+    """Local dictionaries of a table bucketed by site: the aggregate itself needs no exchange."""
+    name = f"rarecount_bucketed_{uuid.uuid4().hex}"
+    sinks.write_bucketed(sampled(s, d, k=8), name, "site", 8)
+    return P.local_counts(s.table(name)).groupBy("site").agg(F.count("*").alias("d"), F.sum("c").alias("n"))
+
+
+register("scan_bucketed", _bucketed, with_(Q.sample(MAIN, RATE, 8), Q.LOCAL, select="SELECT site, count(*) AS d, sum(c)::BIGINT AS n FROM local GROUP BY site"))
+
+
+def _formats(s: SparkSession, d: str) -> DataFrame:
+    """The same rows through CSV, JSON and ORC, read with a given schema."""
+    from ..sources.tables import read
+
+    base, o = _shared(s), table(s, d, "orders").select("o_orderkey", "o_custkey")
+    out = None
+    for kind in ("csv", "json", "orc"):
+        o.write.format(kind).save(f"{base}/{kind}")
+        row = read(s, f"{base}/{kind}", kind, o.schema).agg(F.countDistinct("o_custkey").alias("d")).select(F.lit(kind).alias("kind"), "d")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+register("scan_formats", _formats, "SELECT kind, d FROM (SELECT unnest(['csv', 'json', 'orc']) AS kind), (SELECT count(DISTINCT o_custkey) AS d FROM orders)")
+register(
+    "needs",
+    lambda s, d: s.createDataFrame([(k, ",".join(v)) for k, v in E.NEEDS.items()], "estimator string, evidence string"),
+    "SELECT * FROM (VALUES " + ", ".join(f"('{k}', '{','.join(v)}')" for k, v in E.NEEDS.items()) + ") t(estimator, evidence)",
+)
+#: The plain names of the first variants.
+for _alias, _name in {
+    "exact_profile": "exact_profile_orderkey", "population_profile": "population_profile_orderkey", "singletons_direct_registers": "singletons_direct",
+    "scan_hll_registers": "hll_registers", "plan_route": "plan_route_orderkey", "filter_sample": "sample_by_hash",
+}.items():
+    register(_alias, queries()[_name], oracle_sql()[_name])
+
+
+def _gee_bound(s: SparkSession, d: str) -> DataFrame:
+    e = evidence(s, d).crossJoin(values(s, d).agg(F.countDistinct("v").alias("truth")))
+    est = E.gee(c("d"), c("f1"), c("rows_all"), c("n"))
+    limit = A.gee_error_bound(c("rows_all"), c("n"))
+    return e.select(F.round(limit, 6).alias("bound"), (M.ratio_error(est, c("truth")) <= limit).alias("within"))
+
+
+register("gee_error_bound", _gee_bound, with_(*sql_evidence(), select="SELECT round(sqrt(rows_all / n::DOUBLE), 6) AS bound, true AS within FROM ev, pop"))
+register(
+    "sketch_sizes",
+    lambda s, d: s.createDataFrame([(eps, share, A.b_for(eps, share), A.b_for(eps, share, "bound")) for eps in (0.02, 0.05, 0.1) for share in (0.0018, 0.14, 0.8)], "eps double, c double, b_fit int, b_bound int"),
+    "SELECT * FROM (VALUES " + ", ".join(f"({eps}::DOUBLE, {share}::DOUBLE, {A.b_for(eps, share)}, {A.b_for(eps, share, 'bound')})" for eps in (0.02, 0.05, 0.1) for share in (0.0018, 0.14, 0.8)) + ") t(eps, c, b_fit, b_bound)",
+)
+register("expected_share_agrees", lambda s, d: _share_agrees(s, d), _TRUE)
+
+
+def _share_agrees(s: SparkSession, d: str) -> DataFrame:
+    """The expected share of singletons at the sample's rate is near the sample's own."""
+    want = A.c_at(P.exact_profile(values(s, d)), [RATE])
+    return _near(A.assumption_ratio(evidence(s, d)).crossJoin(want), c("ratio"), c("c"), 0.1)
+
+
 # Streams --------------------------------------------------------------------------------------------
 
 register("stream_window_evidence", lambda s, d: W.replay(s, f"{d}/events.parquet", W.window_evidence, "1 hour"), W.WINDOW_SQL)
 register("stream_session_counts", lambda s, d: W.replay(s, f"{d}/events.parquet", W.session_counts, "30 minutes"), W.SESSION_SQL)
 register("stream_dedup", lambda s, d: W.replay(s, f"{d}/events.parquet", W.dedup, None), "SELECT count(DISTINCT event_id) AS n FROM events")
 register("stream_window_distinct", lambda s, d: W.replay(s, f"{d}/events.parquet", W.window_sketches, "1 hour").select((F.abs(c("d_hat") - c("d")) <= 0.1 * c("d") + 2).alias("ok")).agg(F.min("ok").alias("ok")), _TRUE)
-del regs
+register("stream_merged_windows", lambda s, d: W.merge_closed(W.replay(s, f"{d}/events.parquet", W.window_counts, "1 hour")), W.MERGED_SQL)
+register("stream_sliding_evidence", lambda s, d: W.replay(s, f"{d}/events.parquet", W.sliding_evidence, "1 hour"), W.SLIDING_SQL)

@@ -33,13 +33,18 @@ def window_counts(events: DataFrame, width: str, slide: str | None = None) -> Da
     return with_time(events).groupBy(win.alias("w"), F.col("user_id").alias("v")).agg(F.count("*").alias("c")).select(F.col("w"), "v", "c")
 
 
-def window_evidence(events: DataFrame, width: str) -> DataFrame:
+def window_evidence(events: DataFrame, width: str, slide: str | None = None) -> DataFrame:
     """(start, n, d, f1): a chained aggregation over closed counts."""
-    counts = window_counts(events, width)
+    counts = window_counts(events, width, slide)
     out = counts.groupBy("w").agg(F.sum("c").alias("n"), F.count("*").alias("d"), F.sum((F.col("c") == 1).cast("long")).alias("f1"))
     return out.select(F.unix_seconds("w.start").alias("start"), "n", "d", "f1")
 
 
+def sliding_evidence(events: DataFrame, width: str) -> DataFrame:
+    """Windows that start every half hour."""
+    return window_evidence(events, width, "30 minutes")
+
+
 def window_sketches(events: DataFrame, width: str) -> DataFrame:
     """(start, d_hat, d): a native sketch of each window beside the exact number."""
     d = with_time(events).groupBy(F.window("ts", width).alias("w")).agg(
@@ -97,3 +102,14 @@ SESSION_SQL = (
     "SELECT user_id, floor(epoch(min(ts)))::BIGINT AS start, count(*) AS n FROM x GROUP BY user_id, k "
     "HAVING epoch(max(ts)) + 1800 <= (SELECT epoch(max(ts)) - 600 FROM events)"
 )
+#: Values single in one closed window and absent from all other closed ones.
+MERGED_SQL = (
+    "WITH e AS (SELECT (epoch(date_trunc('hour', ts)))::BIGINT AS start, user_id FROM events) "
+    "SELECT count(*) AS f1 FROM (SELECT user_id FROM e WHERE start + 3600 <= (SELECT epoch(max(ts)) - 600 FROM events) GROUP BY user_id HAVING count(*) = 1)"
+)
+SLIDING_SQL = (
+    "WITH e AS (SELECT (floor(epoch(ts) / 1800) * 1800)::BIGINT - 1800 * k AS start, user_id FROM events, (SELECT unnest([0, 1]) AS k)), "
+    "x AS (SELECT start, user_id, count(*) AS c FROM e GROUP BY 1, 2) "
+    "SELECT start, sum(c)::BIGINT AS n, count(*) AS d, count(*) FILTER (c = 1) AS f1 FROM x "
+    "WHERE start + 3600 <= (SELECT epoch(max(ts)) - 600 FROM events) GROUP BY start"
+)
