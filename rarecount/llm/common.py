@@ -41,6 +41,14 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def small(table: DataFrame, most: int) -> DataFrame:
+    """A stored table, marked for broadcast if it has been counted to hold ``most`` rows or fewer.
+
+    A larger one is joined as Spark sees fit, by a shuffle whose skewed partitions it can split.
+    """
+    return F.broadcast(table) if table.count() <= most else table
+
+
 def connected_components(edges: DataFrame, u: str = "u", v: str = "v") -> DataFrame:
     """Smallest reachable id of every node that has an edge; columns ``node``, ``root``.
 

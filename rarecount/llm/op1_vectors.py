@@ -30,12 +30,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import connected_components, stored
+from .common import connected_components, small, stored
 
 THRESHOLD = 0.98
 #: Points of a block at most, about; sample and number of pivots of a label at most.
 BLOCK = 1500
 PIVOTS, MOST_CELLS = 4096, 256
+#: Rows up to which a table of sizes, or of labels' pivots (0.1 MB or so a row), is broadcast.
+SMALL, FEW_LABELS = 20_000, 200
 DEGREE, BEAM, NEAR, OCCLUSION = 16, 24, 48, 1.2
 
 
@@ -130,17 +132,12 @@ def link_block(
     medoid = int(inner.sum(axis=1).argmax())
     queries, ids = np.concatenate((res, vis)), np.concatenate((res_id, vis_id))
     total, walked = np.zeros(len(queries), np.int64), np.zeros(len(queries), np.int64)
-    root = np.arange(len(queries))
+    label = ids.copy()
+    hits = np.zeros((len(queries), n), bool)
     wide = np.cos(min(np.pi, 2 * np.arccos(threshold)))
     slack = np.sqrt(2 - 2 * threshold) + 1e-9
     to_medoid = np.sqrt(np.maximum(0, 2 - 2 * inner[:, medoid]))
 
-    def find(x: int) -> int:
-        while root[x] != x:
-            root[x] = root[root[x]]
-            x = root[x]
-        return x
-
     for at in range(0, len(queries), 512):
         part = queries[at : at + 512]
         sims = part @ res.T
@@ -154,14 +151,19 @@ def link_block(
         hit[np.flatnonzero(inside), own[inside]] = False
         total[at : at + len(part)] = hit @ res_n
         walked[at : at + len(part)] = (hit & seen) @ res_n
-        # A query's smallest linked point, and all other links of it, are in one component.
-        rows, xs = np.nonzero(hit)
-        for i, x in zip(rows + at, xs, strict=True):
-            a, b = find(i), find(x)
-            if a != b:
-                lo, hi = (a, b) if ids[a] <= ids[b] else (b, a)
-                root[hi] = lo
-    return total, walked, ids[np.array([find(i) for i in range(len(queries))], np.int64)] if len(queries) else ids
+        hits[at : at + len(part)] = hit
+    # The smallest label among linked points, both ways, until nothing changes.
+    some = np.flatnonzero(hits.any(axis=1))
+    rows, xs = np.nonzero(hits[some])
+    rows = some[rows]
+    while len(rows):
+        before = label.copy()
+        low = np.minimum(label[rows], label[xs])
+        np.minimum.at(label, rows, low)
+        np.minimum.at(label, xs, low)
+        if (label == before).all():
+            break
+    return total, walked, label
 
 
 def unit(x: np.ndarray) -> np.ndarray:
@@ -194,7 +196,7 @@ def classes(df: DataFrame, id_col: str, vector: str, label: str) -> DataFrame:
 
 def placed(points: DataFrame, block: int, threshold: float) -> DataFrame:
     """Each point as resident of its cell, and as visitor of the cells that may hold links of it."""
-    sizes = points.groupBy("label", F.size("vec").alias("dim")).agg(F.count("*").alias("size"))
+    sizes = small(stored(points.groupBy("label", F.size("vec").alias("dim")).agg(F.count("*").alias("size")), "sizes"), SMALL)
     order = Window.partitionBy("label", "dim").orderBy("h", "cls")
     # A bounded sample by hash, so that the window sees few rows of any label.
     with_size = points.withColumn("dim", F.size("vec")).join(sizes, ["label", "dim"])
@@ -209,7 +211,7 @@ def placed(points: DataFrame, block: int, threshold: float) -> DataFrame:
 
     pivots = few.groupBy("label", "dim").applyInArrow(settle, "label string, dim int, pivots array<double>")
     slack = float(np.sqrt(2 - 2 * threshold)) + 1e-9
-    rows = points.withColumn("dim", F.size("vec")).join(stored(pivots, "pivots"), ["label", "dim"])
+    rows = points.withColumn("dim", F.size("vec")).join(small(stored(pivots, "pivots"), FEW_LABELS), ["label", "dim"])
 
     def deal(batches):
         kinds = "label", "dim", "cell", "cls", "n", "vec", "resident"
@@ -244,7 +246,7 @@ def block_links(cells: DataFrame, block: int, threshold: float) -> DataFrame:
     sizes = cells.groupBy(*key).agg(
         F.ceil(F.sum(F.col("resident").cast("int")) / block).cast("int").alias("parts"), F.ceil(F.count("*") / (4 * block)).cast("int").alias("rounds")
     )
-    d = cells.join(sizes.where("parts > 0"), key)
+    d = cells.join(small(stored(sizes.where("parts > 0"), "cells"), SMALL), key)
     # Residents of a large cell are dealt into parts; queries meet each part, and large crowds of queries
     # are dealt into rounds, each with its own copy of the part's residents.
     own = F.pmod(F.xxhash64("cls", F.lit(1)), F.col("parts"))
@@ -261,13 +263,11 @@ def block_links(cells: DataFrame, block: int, threshold: float) -> DataFrame:
         asked = set(ids[~base].tolist())
         here = np.flatnonzero(base)
         here = here[np.argsort(ids[here], kind="stable")]
-        mine = set(ids[here].tolist())
         guests = np.flatnonzero(~base & ~np.isin(ids, ids[here]))
         links, walked, root = link_block(x[here], ids[here], n[here], x[guests], ids[guests], threshold)
         every = np.concatenate((ids[here], ids[guests]))
         # Residents that ask in another round only lend their component.
         counts = np.array([i in asked for i in every.tolist()], bool)
-        del mine
         return pa.table({"cls": every, "links": np.where(counts, links, 0), "walked": np.where(counts, walked, 0), "root": root})
 
     return (
@@ -282,7 +282,8 @@ def near_vectors(
 ) -> DataFrame:
     """One row per input row: id, n_links, component_id, kept, and graph_links, the links the walk itself found."""
     points = stored(classes(df, id_col, vector, label), "points")
-    found = stored(block_links(placed(points, block, threshold), block, threshold), "blocks")
+    cells = stored(placed(points, block, threshold), "placed")
+    found = stored(block_links(cells, block, threshold), "blocks")
     sums = found.groupBy("cls").agg(F.sum("links").alias("links"), F.sum("walked").alias("walked"))
     roots = connected_components(found.where("cls <> root").select(F.col("cls").alias("u"), F.col("root").alias("v")))
     info = points.join(sums, "cls").join(roots, F.col("cls") == F.col("node"), "left")
