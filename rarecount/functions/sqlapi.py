@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType
 
 #: Bodies are plain SQL, so Catalyst inlines them.
 SCALARS = {
@@ -32,6 +33,6 @@ def estimates_udtf():
     return Estimates
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def second_moment(c: pd.Series) -> int:
     return int((c.astype("int64") ** 2).sum())

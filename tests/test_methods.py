@@ -180,3 +180,13 @@ def test_experiments_show_the_reported_behaviour(spark):
     assert abs(share - A.poisson_share(50, 0.02)) < 0.06
     hat = G.singletons_runner_up(G.site_registers(local, 14, hashing="fast"), 14).first().f1_hat
     assert abs(hat / G.singletons_exact_sets(local).first().f1 - 1) < 0.1
+
+
+def test_entry_can_be_imported_without_a_session():
+    import os
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    out = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()))"], cwd=root, capture_output=True, text=True)
+    assert int(out.stdout.split()[-1]) >= 170, out.stderr
