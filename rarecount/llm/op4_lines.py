@@ -125,6 +125,8 @@ def deletions(df: DataFrame, id_col: str, text: str, rare: int = RARE, least_wor
         .where((F.col("df") > 1) & ((F.col("w") >= least_words) | (F.col("df") <= rare)))
         .select("h", F.col("first.doc").alias("fdoc"), F.col("first.tkey").alias("fkey"))
     )
+    # As a table of its own, so that the join shuffles both sides and can split those of a very common line.
+    first = stored(first, "firsts")
     pairs = (
         one.join(first, "h")
         .where((F.col("doc") != F.col("fdoc")) | (F.col("tkey") != F.col("fkey")))
