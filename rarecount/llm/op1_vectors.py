@@ -6,10 +6,10 @@
    and every other that may hold a point within the threshold: a point of cell p is nearer to p than to
    any other pivot, so a query that is farther than the link distance beyond the plane half way
    between p and its own pivot cannot have links there. This overlap of shards is exact, not a guess.
-3. Cells are built in blocks of bounded size. Each builds a graph: near neighbours of a point, thinned by
-   robust pruning (a neighbour is dropped if a kept one is nearer to it than the point by a factor), made both
-   ways. The lists of overlapping shards are united: visitors are inserted beside residents.
-4. Each query walks the graph greedily from the block's medoid, then expands its range: all neighbours
+3. Cells are dealt into blocks of bounded size. Over each block's residents and visitors a flat graph is built:
+   near neighbours of a point, thinned by robust pruning (a neighbour is dropped if a kept one is nearer to it
+   than the point by a factor). A point stands in several overlapping shards; its lists are united.
+4. Each query walks the united graph greedily from the block's medoid, then expands its range: all neighbours
    of points found within a widened threshold are looked at until no more turn up.
 5. The walk is audited. A pivot bound (triangle inequality on the distances to the medoid) leaves
    the points that the walk has not seen and that could still be links; those are compared exactly. So the
@@ -38,48 +38,53 @@ BLOCK = 1500
 PIVOTS, MOST_CELLS = 4096, 256
 #: Rows up to which a table of sizes, or of labels' pivots (0.1 MB or so a row), is broadcast.
 SMALL, FEW_LABELS = 20_000, 200
+#: A point's graph lists come from this many of its cells.
+OVERLAP = 2
 DEGREE, BEAM, NEAR, OCCLUSION = 16, 24, 48, 1.2
 
 
-def robust_prune(sims: np.ndarray, degree: int = DEGREE, near: int = NEAR, occlusion: float = OCCLUSION) -> np.ndarray:
-    """Neighbour lists (n x degree, -1 where there is none) from all similarities of unit vectors.
+def robust_prune(x: np.ndarray, degree: int = DEGREE, near: int = NEAR, occlusion: float = OCCLUSION) -> np.ndarray:
+    """Neighbour lists (n x degree, -1 where there is none) of unit rows.
 
     The nearest candidate is kept; candidates that are nearer to a kept one than to the point itself, by the
-    factor, are dropped; and so on. All points go in step.
+    factor, are dropped; and so on. Rows go in step, some hundred at a time, so that memory stays small.
     """
-    n = len(sims)
+    n = len(x)
     out = np.full((n, degree), -1, np.int64)
     if n < 2:
         return out
     m = min(near, n - 1)
-    own = sims.copy()
-    np.fill_diagonal(own, -np.inf)
-    cand = np.argpartition(-own, m - 1, axis=1)[:, :m]
-    cand = np.take_along_axis(cand, np.argsort(-np.take_along_axis(own, cand, 1), axis=1, kind="stable"), 1)
-    dist = 2 - 2 * np.take_along_axis(own, cand, 1)
-    alive = np.ones_like(cand, bool)
-    rows = np.arange(n)
-    for k in range(degree):
-        some = alive.any(axis=1)
-        if not some.any():
-            break
-        first = alive.argmax(axis=1)
-        pick = cand[rows, first]
-        out[some, k] = pick[some]
-        alive[rows, first] = False
-        between = 2 - 2 * sims[pick[:, None], cand]
-        alive &= occlusion * between > dist
+    for at in range(0, n, 512):
+        rows = np.arange(min(512, n - at))
+        sims = x[at : at + 512] @ x.T
+        sims[rows, at + rows] = -np.inf
+        cand = np.argpartition(-sims, m - 1, axis=1)[:, :m]
+        score = np.take_along_axis(sims, cand, 1)
+        order = np.argsort(-score, axis=1, kind="stable")
+        cand, dist = np.take_along_axis(cand, order, 1), 2 - 2 * np.take_along_axis(score, order, 1)
+        points, alive = x[cand], np.ones_like(cand, bool)
+        for k in range(degree):
+            some = alive.any(axis=1)
+            if not some.any():
+                break
+            first = alive.argmax(axis=1)
+            pick = cand[rows, first]
+            out[at + rows[some], k] = pick[some]
+            alive[rows, first] = False
+            between = 2 - 2 * np.einsum("rd,rmd->rm", x[pick], points)
+            alive &= occlusion * between > dist
     return out
 
 
-def both_ways(lists: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Adjacency as sorted (starts, targets) with each edge in both directions: the union of lists."""
-    n = len(lists)
+def both_ways(n: int, src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Adjacency as sorted (starts, targets) with each edge in both directions."""
+    e = np.unique(np.concatenate((src * n + dst, dst * n + src)))
+    return np.searchsorted(e // n, np.arange(n + 1)), e % n
+
+
+def edges_of(lists: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     a, k = np.nonzero(lists >= 0)
-    b = lists[a, k]
-    e = np.unique(np.concatenate((a * n + b, b * n + a)))
-    src, dst = e // n, e % n
-    return np.searchsorted(src, np.arange(n + 1)), dst
+    return a, lists[a, k]
 
 
 def search(adj: tuple[np.ndarray, np.ndarray], sims: np.ndarray, medoid: int, wide: float, beam: int = BEAM) -> np.ndarray:
@@ -120,15 +125,15 @@ def search(adj: tuple[np.ndarray, np.ndarray], sims: np.ndarray, medoid: int, wi
 
 
 def link_block(
-    res: np.ndarray, res_id: np.ndarray, res_n: np.ndarray, vis: np.ndarray, vis_id: np.ndarray, threshold: float
+    res: np.ndarray, res_id: np.ndarray, res_n: np.ndarray, edges: tuple[np.ndarray, np.ndarray], vis: np.ndarray, vis_id: np.ndarray, threshold: float
 ) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(links, links the walk found, smallest component id in the block) of each query.
 
-    Residents (unit rows ``res``) are the graph; queries are the residents and then the visitors.
+    Residents (unit rows ``res``) are the points of the graph; queries are the residents and then the visitors.
     """
     n = len(res)
     inner = res @ res.T
-    adj = both_ways(robust_prune(inner))
+    adj = both_ways(n, *edges)
     medoid = int(inner.sum(axis=1).argmax())
     queries, ids = np.concatenate((res, vis)), np.concatenate((res_id, vis_id))
     total, walked = np.zeros(len(queries), np.int64), np.zeros(len(queries), np.int64)
@@ -195,7 +200,7 @@ def classes(df: DataFrame, id_col: str, vector: str, label: str) -> DataFrame:
 
 
 def placed(points: DataFrame, block: int, threshold: float) -> DataFrame:
-    """Each point as resident of its cell, and as visitor of the cells that may hold links of it."""
+    """Each point as resident of its cell (rank 0), and as visitor, by rank, of the cells that may hold links of it."""
     sizes = small(stored(points.groupBy("label", F.size("vec").alias("dim")).agg(F.count("*").alias("size")), "sizes"), SMALL)
     order = Window.partitionBy("label", "dim").orderBy("h", "cls")
     # A bounded sample by hash, so that the window sees few rows of any label.
@@ -214,7 +219,7 @@ def placed(points: DataFrame, block: int, threshold: float) -> DataFrame:
     rows = points.withColumn("dim", F.size("vec")).join(small(stored(pivots, "pivots"), FEW_LABELS), ["label", "dim"])
 
     def deal(batches):
-        kinds = "label", "dim", "cell", "cls", "n", "vec", "resident"
+        kinds = "label", "dim", "cell", "cls", "n", "vec", "rank"
         for batch in batches:
             label, dim = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             # Runs of one label share their pivots.
@@ -228,43 +233,55 @@ def placed(points: DataFrame, block: int, threshold: float) -> DataFrame:
                 v = np.array(batch.column(4)[i].values.to_numpy())
                 s = p @ (v / np.sqrt(v @ v)) - half
                 best = int(s.argmax())
-                for c in np.flatnonzero(s[best] - s <= slack * gap[best] + 1e-9):
-                    pick.append(i)
-                    cell.append(int(c))
-                    home.append(int(c) == best)
+                may = np.flatnonzero(s[best] - s <= slack * gap[best] + 1e-9)
+                may = may[np.argsort(-s[may], kind="stable")]
+                pick += [i] * len(may)
+                cell += may.tolist()
+                home += range(len(may))
             t = batch.take(pa.array(pick, pa.int64()))
             yield pa.RecordBatch.from_arrays(
-                [t.column(0), t.column(1), pa.array(cell, pa.int32()), t.column(2), t.column(3), t.column(4), pa.array(home, pa.bool_())], names=list(kinds)
+                [t.column(0), t.column(1), pa.array(cell, pa.int32()), t.column(2), t.column(3), t.column(4), pa.array(home, pa.int32())], names=list(kinds)
             )
 
-    return rows.select("label", "dim", "cls", "n", "vec", "pivots").mapInArrow(deal, "label string, dim int, cell int, cls long, n long, vec array<double>, resident boolean")
+    return rows.select("label", "dim", "cls", "n", "vec", "pivots").mapInArrow(deal, "label string, dim int, cell int, cls long, n long, vec array<double>, rank int")
 
 
 def block_links(cells: DataFrame, block: int, threshold: float) -> DataFrame:
     """(cls, links, walked, root) of each query in each block of each cell."""
     key = ["label", "dim", "cell"]
     sizes = cells.groupBy(*key).agg(
-        F.ceil(F.sum(F.col("resident").cast("int")) / block).cast("int").alias("parts"), F.ceil(F.count("*") / (4 * block)).cast("int").alias("rounds")
+        F.ceil(F.sum((F.col("rank") == 0).cast("int")) / block).cast("int").alias("parts"),
+        F.ceil(F.count("*") / (4 * block)).cast("int").alias("rounds"),
+        F.ceil(F.sum((F.col("rank") < OVERLAP).cast("int")) / block).cast("int").alias("shards"),
     )
     d = cells.join(small(stored(sizes.where("parts > 0"), "cells"), SMALL), key)
     # Residents of a large cell are dealt into parts; queries meet each part, and large crowds of queries
     # are dealt into rounds, each with its own copy of the part's residents.
     own = F.pmod(F.xxhash64("cls", F.lit(1)), F.col("parts"))
     turn = F.pmod(F.xxhash64("cls", F.lit(2)), F.col("rounds"))
+    shard = F.pmod(F.xxhash64("cls", F.lit(1)), F.col("shards")).cast("int")
+    lists = stored(united(d.where(F.col("rank") < OVERLAP).withColumn("part", shard), key), "lists")
     asks = d.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).withColumn("round", turn.cast("int"))
-    asks = asks.select(*key, "part", "round", "cls", "n", "vec", F.lit(False).alias("base"))
-    base = d.where("resident").withColumn("round", F.explode(F.sequence(F.lit(0), F.col("rounds") - 1))).withColumn("part", own.cast("int"))
-    base = base.select(*key, "part", "round", "cls", "n", "vec", F.lit(True).alias("base"))
+    none = F.lit(None).cast("array<long>")
+    asks = asks.select(*key, "part", "round", "cls", "n", "vec", F.lit(False).alias("base"), none.alias("near"))
+    base = d.where("rank = 0").join(lists, ["label", "dim", "cls"], "left")
+    base = base.withColumn("part", own.cast("int")).withColumn("round", F.explode(F.sequence(F.lit(0), F.col("rounds") - 1)))
+    base = base.select(*key, "part", "round", "cls", "n", "vec", F.lit(True).alias("base"), "near")
 
     def run(t: pa.Table) -> pa.Table:
-        dim = t["dim"][0].as_py()
-        x = unit(t["vec"].combine_chunks().values.to_numpy().reshape(t.num_rows, dim).astype(float))
+        x = vectors_of(t)
         base, ids, n = t["base"].to_numpy(), t["cls"].to_numpy(), t["n"].to_numpy()
         asked = set(ids[~base].tolist())
         here = np.flatnonzero(base)
         here = here[np.argsort(ids[here], kind="stable")]
         guests = np.flatnonzero(~base & ~np.isin(ids, ids[here]))
-        links, walked, root = link_block(x[here], ids[here], n[here], x[guests], ids[guests], threshold)
+        near = t["near"].combine_chunks().take(pa.array(here))
+        src = np.repeat(np.arange(len(here)), near.value_lengths().fill_null(0).to_numpy())
+        other = near.flatten().to_numpy()
+        # Neighbours of other shards that aren't points of this block are left out.
+        place = np.minimum(np.searchsorted(ids[here], other), max(0, len(here) - 1))
+        inside = ids[here][place] == other if len(here) else np.zeros(0, bool)
+        links, walked, root = link_block(x[here], ids[here], n[here], (src[inside], place[inside]), x[guests], ids[guests], threshold)
         every = np.concatenate((ids[here], ids[guests]))
         # Residents that ask in another round only lend their component.
         counts = np.array([i in asked for i in every.tolist()], bool)
@@ -277,6 +294,23 @@ def block_links(cells: DataFrame, block: int, threshold: float) -> DataFrame:
     )
 
 
+def vectors_of(t: pa.Table) -> np.ndarray:
+    return unit(t["vec"].combine_chunks().values.to_numpy().reshape(t.num_rows, t["dim"][0].as_py()).astype(float))
+
+
+def united(dealt: DataFrame, key: list[str]) -> DataFrame:
+    """(label, dim, cls, near): each point's pruned neighbours from all shards that it stands in."""
+
+    def build(t: pa.Table) -> pa.Table:
+        x, ids = vectors_of(t), t["cls"].to_numpy()
+        lists = robust_prune(x)
+        near = [ids[row[row >= 0]].tolist() for row in lists]
+        return pa.table({"label": t["label"], "dim": t["dim"], "cls": ids, "near": pa.array(near, pa.list_(pa.int64()))})
+
+    shards = dealt.groupBy(*key, "part").applyInArrow(build, "label string, dim int, cls long, near array<long>")
+    return shards.groupBy("label", "dim", "cls").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("near"))
+
+
 def near_vectors(
     df: DataFrame, id_col: str = "vec_id", vector: str = "embedding", label: str = "label", threshold: float = THRESHOLD, block: int = BLOCK
 ) -> DataFrame:
