@@ -115,7 +115,8 @@ def deletions(df: DataFrame, id_col: str, text: str, rare: int = RARE, least_wor
         F.transform("lines", lambda x: F.xxhash64(x)).alias("hs"),
         F.transform("lines", lambda x: F.size(F.array_remove(F.split(x, BLANKS), ""))).alias("ws"),
     )
-    d = stored(d, "lines")
+    # Rows that repeat both id and text are equal here; one of them is enough.
+    d = stored(d.dropDuplicates(["doc", "tkey"]), "lines")
     one = d.select(
         "doc", "tkey", F.explode(F.array_distinct(F.filter(F.arrays_zip("hs", "ws"), lambda x: x["ws"] >= SEED_WORDS))).alias("x")
     ).select("doc", "tkey", F.col("x.hs").alias("h"), F.col("x.ws").alias("w"))
@@ -134,10 +135,6 @@ def deletions(df: DataFrame, id_col: str, text: str, rare: int = RARE, least_wor
         .distinct()
     )
     ahead = d.select(F.col("doc").alias("fdoc"), F.col("tkey").alias("fkey"), F.col("hs").alias("fhs"))
-    # Rows that repeat both id and text are equal here; one of them is enough.
-    ahead = ahead.dropDuplicates(["fdoc", "fkey"])
-    later = d.dropDuplicates(["doc", "tkey"])
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             gone = []
@@ -146,7 +143,7 @@ def deletions(df: DataFrame, id_col: str, text: str, rare: int = RARE, least_wor
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(gone, pa.list_(pa.int32()))], names=["doc", "tkey", "gone"])
 
     aligned = (
-        pairs.join(later, ["doc", "tkey"])
+        pairs.join(d.select("doc", "tkey", "hs", "ws"), ["doc", "tkey"])
         .join(ahead, ["fdoc", "fkey"])
         .select("doc", "tkey", "fhs", "hs", "ws")
         .mapInArrow(run, "doc long, tkey long, gone array<int>")
