@@ -59,11 +59,23 @@ def sample_per_site(df: DataFrame, site: str, rates: dict[int, float], id_cols:
     return df.where(md5_bits(F.md5(keyed(salt, *[F.col(c) for c in id_cols])), 0) < rate)
 
 
-def tagged(df: DataFrame, value: Column, id_cols: list[str], q: float, k: int, q_res: float | None = None, salt: str = "s") -> DataFrame:
-    """(v, site, res) of the sampled rows: one digest decides sample, site (of k) and resample; nulls drop."""
+def tagged(
+    df: DataFrame, value: Column, id_cols: list[str], q: float, k: int, q_res: float | None = None, salt: str = "s", hashing: str = "md5"
+) -> DataFrame:
+    """(v, site, res) of the sampled rows: one digest decides sample, site (of k) and resample; nulls drop.
+
+    ``hashing="fast"`` takes 64-bit hashes in place of the digest: cheaper, but of this engine only.
+    """
+    check_rate(q)
+    cut = bound(q if q_res is None else q_res)
+    if hashing == "fast":
+        h = F.xxhash64(F.lit(salt), *[F.col(c) for c in id_cols])
+        d = df.select(value.alias("v"), h.alias("h")).where(F.col("v").isNotNull() & (F.shiftrightunsigned("h", 32) < bound(q)))
+        other = F.xxhash64("h")
+        return d.select("v", (F.shiftrightunsigned(other, 32) % k).cast("int").alias("site"), (other.bitwiseAND(F.lit(TWO32 - 1)) < cut).alias("res"))
     digest = F.md5(keyed(salt, *[F.col(c) for c in id_cols]))
-    d = df.select(value.alias("v"), digest.alias("d")).where(F.col("v").isNotNull() & (md5_bits(F.col("d"), 0) < bound(check_rate(q))))
-    return d.select("v", (md5_bits(F.col("d"), 1) % k).cast("int").alias("site"), (md5_bits(F.col("d"), 2) < bound(q if q_res is None else q_res)).alias("res"))
+    d = df.select(value.alias("v"), digest.alias("d")).where(F.col("v").isNotNull() & (md5_bits(F.col("d"), 0) < bound(q)))
+    return d.select("v", (md5_bits(F.col("d"), 1) % k).cast("int").alias("site"), (md5_bits(F.col("d"), 2) < cut).alias("res"))
 
 
 def resampled(sample: DataFrame) -> DataFrame:

@@ -190,3 +190,19 @@ def test_entry_can_be_imported_without_a_session():
     root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
     out = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()))"], cwd=root, capture_output=True, text=True)
     assert int(out.stdout.split()[-1]) >= 170, out.stderr
+
+
+@pytest.mark.parametrize("hashing", ["md5", "fast"])
+def test_samples_sites_and_resamples_have_their_rates(spark, hashing):
+    from rarecount.operators import sampling as S
+
+    df = spark.range(40_000).select("id", F.when(F.col("id") % 10 != 0, F.col("id")).alias("v"))
+    s = S.tagged(df, F.col("v"), ["id"], 0.2, 4, 0.5, hashing=hashing).cache()
+    n = s.count()
+    assert abs(n - 7200) < 400 and s.where("v is null").count() == 0
+    assert abs(s.where("res").count() / n - 0.5) < 0.04
+    assert all(abs(r["count"] / n - 0.25) < 0.03 for r in s.groupBy("site").count().collect())
+    with pytest.warns(UserWarning):
+        S.check_rate(1e-4)
+    with pytest.raises(ValueError):
+        S.check_rate(0)
