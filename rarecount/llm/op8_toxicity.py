@@ -211,9 +211,10 @@ def train(rows: list[tuple[str, int]], seed: int = 8) -> Network | None:
             worst = np.array([s + int(logit[s:e].argmax()) for s, e in zip(starts, [*starts[1:], len(wins)], strict=True)])
             pos = worst[doc_y == 1]
             hard = worst[doc_y == 0]
-            neg = np.concatenate((hard, r.permutation(neg)[: 2 * len(hard)]))
+            most = max(512, 2 * len(pos))
+            neg = np.concatenate((r.permutation(hard)[:most], r.permutation(neg)[:most]))
         else:
-            size = min(len(pos), len(neg), 6000)
+            size = min(len(pos), len(neg), 6000 * EPOCHS // epochs)
             pos, neg = r.permutation(pos)[:size], r.permutation(neg)[: 2 * size]
         pick = r.permutation(np.concatenate((pos, neg)))
         for at in range(0, len(pick), BATCH):
