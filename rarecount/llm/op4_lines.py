@@ -2,12 +2,18 @@
 
 Lines that two documents share seed the pair. A seed is a line that is rare (in at most ``rare``
 documents) or long enough to be a block of its own. Instead of all pairs among a line's holders,
-every holder is paired with the first one (the smallest id), which is linear in the number of lines
-and loses no deletion: what the first holder keeps, every later holder may lose. Each pair is then
-aligned by patience diff: lines that are unique in both anchor the alignment, the longest
+every holder is paired with the first one (the smallest id), which is linear in the number of lines.
+Each pair is then aligned by patience diff: lines that are unique in both anchor the alignment, the longest
 increasing run of anchors is kept, and it is grown over equal neighbours. Aligned blocks of at least
 ``least_words`` words are deleted from the later document.
 
+Pairs and alignment alone miss blocks of frequent short lines, blocks that a document repeats, blocks in
+another order, and blocks whose lines have other first holders. So runs of lines are matched as well: from
+each line the shortest run on, and the shortest run back, of at least ``least_words`` words. A block that
+two documents share is covered by such runs of both (see ``runs``), so that in the end a line goes if, and only if,
+it lies in consecutive lines of at least ``least_words`` words that stand in an earlier document too. Runs
+are two a line at most, and each is matched with its first holder only.
+
 Lines are compared as they stand. Defined results: null texts stay null; a text whose lines all go
 becomes empty, its row stays; rows that repeat an id are told apart by their text, and of rows equal in both
 all are treated alike; null ids take no part; an empty table gives an empty result; other columns pass untouched.
@@ -27,6 +33,9 @@ from .common import BLANKS, NOT_BLANK, stored
 RARE = 8
 LEAST_WORDS = 20
 SEED_WORDS = 4
+#: Of the hash of a run.
+PRIME = (1 << 61) - 1
+BASE = 0x1D8AF6E2B94C7A35
 
 
 def lines_of(text: Column) -> Column:
@@ -104,6 +113,37 @@ def blocks(aligned: list[tuple[int, int]], words: list[int], least: int) -> list
     return out
 
 
+def runs(hs: list[int], ws: list[int], least: int) -> Iterator[tuple[int, int, int, int]]:
+    """(hash, hash of the first line, start, last) of the shortest runs of at least ``least`` words from and up to each line.
+
+    Every line of a block of so many words lies in one of these within the block: in the run from it, in the
+    run up to it, or, if both would leave the block, in the run from the block's first line. Hashes are
+    differences of a polynomial's prefixes, so blank lines without end cost no more than others.
+    """
+    n = len(hs)
+    sums, codes, powers = [0], [0], [1]
+    for h, w in zip(hs, ws, strict=True):
+        sums.append(sums[-1] + w)
+        codes.append((codes[-1] * BASE + h % PRIME + 1) % PRIME)
+        powers.append(powers[-1] * BASE % PRIME)
+    found = set()
+    to = 0
+    for i in range(n):
+        while to < n and (to <= i or sums[to] - sums[i] < least):
+            to += 1
+        if to == i or sums[to] - sums[i] < least:
+            break
+        found.add((i, to - 1))
+    at = 0
+    for j in range(n):
+        while at < j and sums[j + 1] - sums[at + 1] >= least:
+            at += 1
+        if sums[j + 1] - sums[at] >= least:
+            found.add((at, j))
+    for i, j in sorted(found):
+        yield (codes[j + 1] - codes[i] * powers[j + 1 - i]) % PRIME, hs[i], i, j
+
+
 def deletions(df: DataFrame, id_col: str, text: str, rare: int = RARE, least_words: int = LEAST_WORDS) -> DataFrame:
     """(doc, tkey, gone): sorted line positions to delete from rows with that id and text hash."""
     d = df.where(F.col(id_col).isNotNull() & F.col(text).isNotNull()).select(
@@ -148,10 +188,45 @@ def deletions(df: DataFrame, id_col: str, text: str, rare: int = RARE, least_wor
         .select("doc", "tkey", "fhs", "hs", "ws")
         .mapInArrow(run, "doc long, tkey long, gone array<int>")
     )
-    found = aligned.where(F.size("gone") > 0)
+    found = aligned.where(F.size("gone") > 0).unionByName(repeated(d, least_words))
     return found.groupBy("doc", "tkey").agg(F.sort_array(F.array_distinct(F.flatten(F.collect_list("gone")))).alias("gone"))
 
 
+def repeated(d: DataFrame, least_words: int) -> DataFrame:
+    """(doc, tkey, gone) from (doc, tkey, hs, ws): lines in runs that an earlier document holds."""
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["doc", "tkey", "h", "l", "start", "last"]
+        types = [pa.int64()] * 4 + [pa.int32()] * 2
+        for batch in batches:
+            rows: list[tuple] = []
+            for doc, key, hs, ws in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+                rows += [(doc, key, *x) for x in runs(hs, ws, least_words)]
+                if len(rows) > 50000:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=names)
+                    rows = []
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=names)
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            gone = []
+            for spans in batch.column(2).to_pylist():
+                lines: list[int] = []
+                for x in sorted((s["start"], s["last"]) for s in spans):
+                    lines += range(max(x[0], lines[-1] + 1 if lines else 0), x[1] + 1)
+                gone.append(lines)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(gone, pa.list_(pa.int32()))], names=["doc", "tkey", "gone"])
+
+    cuts = d.select("doc", "tkey", "hs", "ws").mapInArrow(cut, "doc long, tkey long, h long, l long, start int, last int")
+    cuts = stored(cuts, "runs")
+    first = cuts.groupBy("h", "l").agg(F.min(F.struct("doc", "tkey")).alias("first"), F.max(F.struct("doc", "tkey")).alias("end")).where("first < end")
+    first = stored(first.select("h", "l", F.col("first.doc").alias("fdoc"), F.col("first.tkey").alias("fkey")), "run-firsts")
+    later = cuts.join(first, ["h", "l"]).where((F.col("doc") != F.col("fdoc")) | (F.col("tkey") != F.col("fkey")))
+    spans = later.groupBy("doc", "tkey").agg(F.collect_list(F.struct("start", "last")).alias("spans"))
+    return spans.mapInArrow(merge, "doc long, tkey long, gone array<int>")
+
+
 def with_deletions(df: DataFrame, id_col: str, text: str, **how) -> DataFrame:
     gone = deletions(df, id_col, text, **how).select(F.col("doc").alias("__doc"), F.col("tkey").alias("__tkey"), F.col("gone").alias("__gone"))
     return df.join(gone, (F.col(id_col).cast("long") == F.col("__doc")) & (F.xxhash64(text) == F.col("__tkey")), "left")

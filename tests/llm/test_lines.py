@@ -41,3 +41,22 @@ def test_patience_is_increasing_and_equal():
     assert all(a[i] == b[j] for i, j in got)
     assert got == sorted(got) and [j for _, j in got] == sorted(j for _, j in got)
     assert L.patience([], [1]) == [] and L.patience([1, 1], [1, 1]) == [(0, 0), (1, 1)]
+
+
+def test_frequent_short_lines_go(spark, docs):
+    shared = [line(i, 12) for i in range(900, 905)]
+    for n in (9, 1000):
+        data = [(i, "\n".join([line(2000 + i, 5), *shared, line(4000 + i, 5)])) for i in range(n)]
+        got = {r.doc_id: r for r in L.report(docs(data)).collect()}
+        assert got[0].text == data[0][1]
+        assert all(got[i].text == f"{line(2000 + i, 5)}\n{line(4000 + i, 5)}" and got[i].deleted_lines == "1,2,3,4,5" for i in range(1, n))
+
+
+def test_runs_cover_every_line_of_a_block_and_no_other():
+    for seed in range(60):
+        ws = [(seed * 7 + i * i * 5) % 9 if i % 3 else 0 for i in range(40)]
+        block = range(seed % 12, 12 + seed % 28)
+        inside = {x for _, _, i, j in L.runs(list(range(40)), ws, 20) if i >= block[0] and j <= block[-1] for x in range(i, j + 1)}
+        assert inside == (set(block) if sum(ws[x] for x in block) >= 20 else set())
+    a, b = L.runs([5, -6, 7], [9, 9, 9], 20), L.runs([1, 5, -6, 7], [1, 9, 9, 9], 20)
+    assert {x[:2] for x in a} <= {x[:2] for x in b}
