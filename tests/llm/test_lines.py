@@ -1,3 +1,5 @@
+import random
+
 from brute import words
 
 from rarecount.llm import op4_lines as L
@@ -60,3 +62,43 @@ def test_runs_cover_every_line_of_a_block_and_no_other():
         assert inside == (set(block) if sum(ws[x] for x in block) >= 20 else set())
     a, b = L.runs([5, -6, 7], [9, 9, 9], 20), L.runs([1, 5, -6, 7], [1, 9, 9, 9], 20)
     assert {x[:2] for x in a} <= {x[:2] for x in b}
+
+
+def brute(texts):
+    """Lines in a run of 20 words or more that an earlier text holds, by trying every run."""
+    out = []
+    for k, t in enumerate(texts):
+        b, gone = t.split("\n"), set()
+        for a in (x.split("\n") for x in texts[:k]):
+            for i in range(len(a)):
+                for j in range(len(b)):
+                    n = 0
+                    while i + n < len(a) and j + n < len(b) and a[i + n] == b[j + n]:
+                        n += 1
+                        if sum(len(x.split()) for x in b[j : j + n]) >= 20:
+                            gone |= set(range(j, j + n))
+        out.append(",".join(map(str, sorted(gone))))
+    return out
+
+
+def test_repeated_and_crossing_blocks_go(spark, docs):
+    p, q = [line(700 + i, 12) for i in range(5)], [line(720 + i, 12) for i in range(5)]
+    texts = [
+        "\n".join([line(801), *p, line(802), *p, line(803)]),  # the first holder has the passage twice
+        *["\n".join([line(810 + i), *p, line(830 + i)]) for i in range(12)],
+        "\n".join([line(850), *p, line(851), *p, line(852)]),
+        "\n".join([line(853), *q, line(854)]),
+        "\n".join([line(855), *q, line(856), *p, line(857)]),  # the other way round than in the next
+        "\n".join([line(858), *p, line(859), *q, line(860)]),
+    ]
+    got = {r.doc_id: r.deleted_lines for r in L.report(docs(list(enumerate(texts)))).collect()}
+    assert [got[i] for i in range(len(texts))] == brute(texts)
+    assert got[1] == "1,2,3,4,5" and got[13] == "1,2,3,4,5,7,8,9,10,11" and got[16] == "1,2,3,4,5,7,8,9,10,11"
+
+
+def test_any_order_of_lines_equals_brute_force(spark, docs):
+    pool = [line(i, [0, 3, 5, 9, 12, 21][i % 6]) for i in range(14)]
+    rnd = random.Random(5)
+    texts = ["\n".join(rnd.choices(pool, k=rnd.randint(1, 12))) for _ in range(80)]
+    got = {r.doc_id: r.deleted_lines for r in L.report(docs(list(enumerate(texts)))).collect()}
+    assert [got[i] for i in range(len(texts))] == brute(texts)
