@@ -15,12 +15,16 @@ from pyspark.sql import functions as F
 LATE = "10 minutes"
 
 
-def stream_scan(spark: SparkSession, path: str, files: int = 1) -> DataFrame:
+def stream_scan(spark: SparkSession, path: str, files: int | None = None) -> DataFrame:
     """A file stream with the schema of what is there; no inference in the stream itself.
 
+    All files that are there make one micro-batch unless ``files`` limits it. Files of a table overlap in
+    time, and one after the other each would move the watermark past rows of those to come.
+
     The path is given as a pattern, so that a single file is a source as well as a folder."""
     pattern = f"{path[:-1]}[{path[-1]}]"
-    return spark.readStream.schema(spark.read.parquet(path).schema).option("maxFilesPerTrigger", files).parquet(pattern)
+    stream = spark.readStream.schema(spark.read.parquet(path).schema)
+    return (stream if files is None else stream.option("maxFilesPerTrigger", files)).parquet(pattern)
 
 
 def with_time(events: DataFrame) -> DataFrame:
@@ -73,6 +77,7 @@ def merge_closed(closed: DataFrame) -> DataFrame:
 def replay(spark: SparkSession, path: str, make: Callable[[DataFrame, str | None], DataFrame], width: str | None) -> DataFrame:
     """Run a stream over the files that are there and return what it wrote.
 
+    They are read in one batch, so that no row is late, however times are spread over files.
     In append mode only closed windows come out, so the last ones, which the watermark hasn't passed, stay
     open; complete aggregations without windows come out whole.
     """
