@@ -27,6 +27,8 @@ ACCESS = r"AKIA[A-Z0-9]{16,}"
 HEX = r"[0-9a-f]{24,}"
 #: Weak parts (fixed values): forty characters of base 64 that stand alone, and addresses of services.
 WEAK_KEY = r"(?<![A-Za-z0-9+/=_-])[A-Za-z0-9+/]{40}(?![A-Za-z0-9+/=_-])"
+#: The same just after an equals sign, as in ``key=value``.
+GIVEN_KEY = r"(?<==)[A-Za-z0-9+/]{40}(?![A-Za-z0-9+/=_-])"
 ENDPOINT = r"\b(?:https?|s3|ftp|postgres|mysql|redis|amqp)://[^\x20\x09-\x0D\"'<>]+"
 SCOPE = 200
 
@@ -100,16 +102,20 @@ def scan(df: DataFrame, id_col: str = "doc_id", text: str = "text", scope: int =
         spans_of(t, HEX, 2).alias("hex"),
         # Weak parts count only beside an access identifier, so other texts aren't searched for them.
         F.when(t.rlike(ACCESS), spans_of(t, WEAK_KEY, 3)).otherwise(F.array().cast(Span)).alias("weak"),
+        F.when(t.rlike(ACCESS), spans_of(t, GIVEN_KEY, 3)).otherwise(F.array().cast(Span)).alias("given"),
         F.when(t.rlike(ACCESS), spans_of(t, ENDPOINT, 4)).otherwise(F.array().cast(Span)).alias("ends"),
     )
     d = d.withColumn("base", F.concat("assign", "access", "hex"))
-    d = d.withColumn("linked_key", F.filter("weak", lambda s: apart(s, F.col("base")) & near(s, F.col("access"), scope)))
+    linked = lambda c: F.filter(c, lambda s: apart(s, F.col("base")) & near(s, F.col("access"), scope))
+    d = d.withColumns({"linked_weak": linked("weak"), "linked_given": linked("given")})
+    d = d.withColumn("linked_key", F.concat("linked_weak", "linked_given"))
     d = d.withColumn("secrets", F.concat("assign", "hex", "linked_key"))
     d = d.withColumn(
         "linked_endpoint",
         F.filter(
             "ends",
-            lambda s: apart(s, F.concat("base", "linked_key")) & near(s, F.col("access"), scope) & near(s, F.col("secrets"), scope),
+            # An address may hold a given key, as in its query; both are reported.
+            lambda s: apart(s, F.concat("base", "linked_weak")) & near(s, F.col("access"), scope) & near(s, F.col("secrets"), scope),
         ),
     )
     return d.select(

@@ -31,6 +31,22 @@ def test_base_and_links(spark, docs):
     assert X.scan(docs([])).count() == 0
 
 
+def test_keys_given_after_an_equals_sign_are_linked(spark, docs):
+    access, url = "AKIA" + "A1B2C3D4E5F6G7H8", "https://store.example.com/x"
+    pair = f"aws_access_key_id={access}\naws_secret_access_key={KEY}"
+    data = [
+        (1, pair), (2, f"{pair}\nendpoint_url={url}"), (3, f"aws_secret_access_key={KEY}\nendpoint_url={url}"),
+        (4, f"id={access}\nkey={KEY}A"), (5, f"id={access}\nkey={KEY}="), (6, f"id={access} token={KEY}"),
+        (7, f"id={access} {url}?sig={KEY}"), (8, f"id={access} " + "x " * 300 + f"key={KEY}"),
+    ]
+    got = check(spark, docs, data)
+    at = pair.index(KEY)
+    assert f"linked_key:{at}:{at + 40}" in got[1].spans and got[1].n_linked_key == 1
+    assert (got[2].n_linked_key, got[2].n_linked_endpoint) == (1, 1)
+    assert all(got[i].n_linked_key == 0 for i in (3, 4, 5, 6, 8))
+    assert (got[7].n_linked_key, got[7].n_linked_endpoint) == (1, 1)
+
+
 @settings(max_examples=8, deadline=None)
 @given(st.lists(st.text(alphabet="pasword secret=:\"' tokenAKI0f9é\n", max_size=200), min_size=20, max_size=20))
 def test_any_text_equals_brute_force(spark, docs, texts):
