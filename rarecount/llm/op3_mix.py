@@ -118,9 +118,17 @@ def mix(
     weights: dict[str, int] | None = None,
 ) -> DataFrame:
     """Rows (id, domain, language, source, epoch, n_tokens, taken_tokens), one for each draw of a document."""
+    return _draws(df, id_col, text, lang, source, per_mille, epochs, seed, weights).drop("tkey")
+
+
+def _draws(
+    df: DataFrame, id_col: str, text: str, lang: str, source: str, per_mille: int, epochs: int, seed: int, weights: dict[str, int] | None
+) -> DataFrame:
+    """The rows of ``mix`` with the hash of the text, ``tkey``."""
     narrow = tagged(df.select(*dict.fromkeys([id_col, text, lang, source])), id_col, text, lang, source, seed)
     narrow = narrow.where("__tokens > 0").select(
         F.col(id_col).alias("doc"),
+        F.xxhash64(text).alias("tkey"),
         F.col("__domain").alias("domain"),
         F.col("__language").alias("language"),
         F.col("__source").alias("source"),
@@ -146,25 +154,42 @@ def mix(
     ends = sums.where("before < rest and before + n >= rest").select(*LEVELS, F.col("range").alias("end"), "before")
     ends = stored(ends, "ends")
     last = last.join(ends, list(LEVELS))
-    sure = last.where("range < end").select(*LEVELS, "doc", "n", F.col("whole").alias("epoch"), F.col("n").alias("taken"))
-    within = Window.partitionBy(*LEVELS).orderBy("spot", "doc").rowsBetween(Window.unboundedPreceding, -1)
+    sure = last.where("range < end").select(*LEVELS, "doc", "tkey", "n", F.col("whole").alias("epoch"), F.col("n").alias("taken"))
+    within = Window.partitionBy(*LEVELS).orderBy("spot", "doc", "tkey").rowsBetween(Window.unboundedPreceding, -1)
     edge = last.where("range = end").withColumn("at", F.col("before") + F.coalesce(F.sum("n").over(within), F.lit(0)))
     edge = edge.where("at < rest").select(
-        *LEVELS, "doc", "n", F.col("whole").alias("epoch"), F.least(F.col("n"), F.col("rest") - F.col("at")).alias("taken")
+        *LEVELS, "doc", "tkey", "n", F.col("whole").alias("epoch"), F.least(F.col("n"), F.col("rest") - F.col("at")).alias("taken")
     )
     rounds = narrow.join(plan, list(LEVELS)).where("whole > 0")
-    rounds = rounds.select(*LEVELS, "doc", "n", F.explode(F.sequence(F.lit(0), F.col("whole") - 1)).alias("epoch"), F.col("n").alias("taken"))
+    rounds = rounds.select(*LEVELS, "doc", "tkey", "n", F.explode(F.sequence(F.lit(0), F.col("whole") - 1)).alias("epoch"), F.col("n").alias("taken"))
     out = rounds.unionByName(sure).unionByName(edge)
     return out.select(
-        F.col("doc").alias(id_col), *LEVELS, F.col("epoch").cast("long").alias("epoch"), F.col("n").alias("n_tokens"), F.col("taken").cast("long").alias("taken_tokens")
+        F.col("doc").alias(id_col), *LEVELS, F.col("epoch").cast("long").alias("epoch"), F.col("n").alias("n_tokens"), F.col("taken").cast("long").alias("taken_tokens"), "tkey"
     )
 
 
-def drawn(df: DataFrame, id_col: str = "doc_id", **how) -> DataFrame:
-    """``df``'s rows as often as the mix draws them, in their own columns."""
-    times = mix(df, id_col, **how).groupBy(F.col(id_col).alias("__drawn")).agg(F.max("epoch").alias("__top"))
-    both = df.join(times, df[id_col] == F.col("__drawn"))
-    return both.withColumn("__draw", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__top")))).select(*df.columns)
+def drawn(
+    df: DataFrame,
+    id_col: str = "doc_id",
+    text: str = "text",
+    lang: str = "lang",
+    source: str = "source",
+    per_mille: int = BUDGET_PER_MILLE,
+    epochs: int = EPOCHS,
+    seed: int = SEED,
+    weights: dict[str, int] | None = None,
+) -> DataFrame:
+    """``df``'s rows as often as the mix draws them, in their own columns.
+
+    Rows are told apart by id (null is an id too), text and leaf; those equal in all get the most draws of any of them."""
+    draws = _draws(df, id_col, text, lang, source, per_mille, epochs, seed, weights)
+    keys = [F.col("tkey").alias("__t_key"), *[F.col(c).alias(f"__t_{c}") for c in LEVELS]]
+    times = draws.groupBy(F.col(id_col).alias("__t_id"), *keys).agg(F.max("epoch").alias("__top"))
+    d = tagged(df, id_col, text, lang, source, seed).withColumn("__key", F.xxhash64(text))
+    same = d[id_col].eqNullSafe(F.col("__t_id"))
+    for c in ("key", *LEVELS):
+        same = same & (F.col(f"__{c}") == F.col(f"__t_{c}"))
+    return d.join(times, same).withColumn("__draw", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__top")))).select(*df.columns)
 
 
 #: The same in DuckDB SQL, for the given tables; test of every step in integers.

@@ -1,5 +1,6 @@
 import duckdb
 from brute import words
+from pyspark.sql import functions as F
 
 from rarecount.llm import op3_mix as M
 
@@ -34,3 +35,17 @@ def test_drawn_repeats_rows_and_keeps_columns(spark, docs):
     assert out.columns == df.columns
     assert out.count() == M.mix(df).count()
     assert M.drawn(docs([])).count() == 0
+
+
+def test_drawn_keeps_null_ids_and_tells_repeated_ids_apart(spark, docs):
+    rows = data() + [(None, " ".join(words(30, 1000 + i)), "en", f"src{i % 3}") for i in range(20)]
+    rows += [(i % 40, " ".join(words(25, 2000 + i)), "fr", f"src{i % 5}") for i in range(80)]
+    df = docs(rows)
+    out, mixed = M.drawn(df), M.mix(df)
+    assert out.count() == mixed.count()
+
+    def tally(d, n):
+        return sorted(((r.doc_id is None, r.doc_id or 0, r.n), r["count"]) for r in d.groupBy("doc_id", n.alias("n")).count().collect())
+
+    assert any(r.doc_id is None for r in out.collect())
+    assert tally(out, F.size(F.split("text", " "))) == tally(mixed, F.col("n_tokens").cast("int"))
