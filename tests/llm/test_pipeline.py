@@ -15,3 +15,11 @@ def test_stages_keep_columns_and_drop_copies(spark, docs):
             if name == "quality":
                 assert ids == {*range(30), *range(100, 105)}
     assert out.count() == d.count() and {"doc_id", "n_tokens", "ids"} <= set(out.columns)
+
+
+def test_stages_are_stored(spark, docs, tmp_path):
+    docs([(i, " ".join(["the", "of", "and", "it"] * 5 + words(120, i))) for i in range(20)], extra=False).write.parquet(f"{tmp_path}/documents.parquet")
+    out = corpus_pipeline.run(spark, str(tmp_path))
+    files = out.inputFiles()
+    assert files and all("/rarecount-source_mix-" in f for f in files)
+    assert out.count() > 0
