@@ -18,6 +18,7 @@ NEEDS = {
     "chao_lee1": ("d", "f1", "m2"),
     "shlosser": ("d", "f1", "d_res", "f1_res"),
     "scale_up": ("d",),
+    "lower_bound": ("d",),
 }
 
 
@@ -76,6 +77,11 @@ def scale_up(d: Column, N: Column, n: Column) -> Column:
     return _d(d) * F.try_divide(_d(N), _d(n))
 
 
+def lower_bound(d: Column) -> Column:
+    """No fewer than the sample's own."""
+    return _d(d)
+
+
 def gee_profile(profile: DataFrame, N: Column | float, n: Column | float) -> Column:
     """As an aggregate over (i, f): singletons scaled up, all others counted once."""
     one = F.sum(F.when(F.col("i") == 1, F.col("f")).otherwise(0))
@@ -100,7 +106,8 @@ def expected_resample(profile: DataFrame, q: float) -> DataFrame:
 def adaptive_estimator(profile: DataFrame) -> DataFrame:
     """Adaptive estimator from the literature (an extra): d + m - f1 - f2 with m a fixed point.
 
-    Its input are the profile's sums for i >= 3; the fixed point is found by bisection in a fold.
+    m is the number of rare values in the population, which the sample's f1 + f2 rare values with their
+    f1 + 2 f2 rows stand for. Its other input are the profile's sums for i >= 3; the fixed point is found by bisection in a fold.
     """
     i, f = F.col("i").cast("double"), F.col("f").cast("double")
     ev = profile.agg(
@@ -110,11 +117,10 @@ def adaptive_estimator(profile: DataFrame) -> DataFrame:
         F.coalesce(F.sum(F.when(i >= 3, F.exp(-i) * f)), F.lit(0.0)).alias("a"),
         F.coalesce(F.sum(F.when(i >= 3, i * F.exp(-i) * f)), F.lit(0.0)).alias("b"),
     )
-    low = F.col("f1") + F.col("f2")
+    low, rows = F.col("f1") + F.col("f2"), F.col("f1") + 2 * F.col("f2")
 
     def excess(m: Column) -> Column:
-        t = low / m
-        up, down = F.col("a") + m * F.exp(-t), F.col("b") + m * t * F.exp(-t)
+        up, down = F.col("a") + m * F.exp(-rows / m), F.col("b") + rows * F.exp(-rows / m)
         return m - low - F.col("f1") * F.try_divide(up, down)
 
     step = lambda s, _: F.struct(
@@ -127,10 +133,10 @@ def adaptive_estimator(profile: DataFrame) -> DataFrame:
 
 
 def estimate_all(evidence: DataFrame, q: float | None = None) -> DataFrame:
-    """(estimator, form, d_hat): every estimator that the evidence's columns allow."""
+    """(estimator, form, d_hat): every estimator that the evidence's columns allow; a column b is kept."""
     have = set(evidence.columns)
     c = F.col
-    rows = [("gee", "d_f1", gee(c("d"), c("f1"), c("rows_all"), c("n"))), ("chao", "adjusted", chao_adjusted(c("d"), c("f1"))), ("scale_up", "d", scale_up(c("d"), c("rows_all"), c("n")))]
+    rows = [("gee", "d_f1", gee(c("d"), c("f1"), c("rows_all"), c("n"))), ("chao", "adjusted", chao_adjusted(c("d"), c("f1"))), ("scale_up", "d", scale_up(c("d"), c("rows_all"), c("n"))), ("lower_bound", "d", lower_bound(c("d")))]
     if "f2" in have:
         rows += [("chao", "classic", chao_classic(c("d"), c("f1"), c("f2"))), ("chao", "bias_corrected", chao_bias_corrected(c("d"), c("f1"), c("f2")))]
     if "m2" in have:
@@ -138,4 +144,5 @@ def estimate_all(evidence: DataFrame, q: float | None = None) -> DataFrame:
     if {"d_res", "f1_res"} <= have:
         rows.append(("shlosser", "resampled", shlosser_resampled(c("d"), c("f1"), c("d_res"), c("f1_res"))))
     packed = F.array(*[F.struct(F.lit(a).alias("estimator"), F.lit(b).alias("form"), x.alias("d_hat")) for a, b, x in rows])
-    return evidence.select(F.explode(packed).alias("e")).select("e.*")
+    kept = [x for x in ("b",) if x in have]
+    return evidence.select(*kept, F.explode(packed).alias("e")).select(*kept, "e.*")

@@ -13,7 +13,7 @@ from .hashing import keyed, md5_bits, register_and_rank
 BITMAP_PHI = 0.77351
 
 
-def hll_registers(values: DataFrame, b: int, keys: list[str] | None = None, seed: int = 0, hashing: str = "md5") -> DataFrame:
+def hll_registers(values: DataFrame, b: int, keys: list[str] | None = None, seed: int = 0, hashing: str = "fast") -> DataFrame:
     """(keys, reg, r): the best rank of each register. Partial aggregation keeps 2^b rows a task and key."""
     reg, r = register_and_rank(F.col("v"), b, seed, hashing)
     d = values.where(F.col("v").isNotNull()).select(*(keys or []), reg.alias("reg"), r.alias("r"))
@@ -41,22 +41,38 @@ def classic_estimate(z: Column, empty: Column, b: int) -> Column:
 
 
 def smooth_estimate(z: Column, empty: Column, b: int) -> Column:
-    """Without a switch between regimes, whose kink would become bias of leave-one-out differences."""
+    """Without a switch between regimes, whose kink would become bias of leave-one-out differences.
+
+    The series of powers of the share of empty registers is a fold of squares: plain products are equal in every engine.
+    """
     m = 1 << b
     x = empty.cast("double") / m
-    tail = x
-    for i in range(1, b + 9):
-        tail = tail + F.pow(x, F.lit(float(2**i))) * float(2 ** (i - 1))
+    start = F.struct(x.alias("x"), x.alias("t"), F.lit(0.5).alias("w"))
+    tail = F.aggregate(F.sequence(F.lit(1), F.lit(b + 8)), start, lambda a, _: F.struct((a.x * a.x).alias("x"), (a.t + a.x * a.x * (a.w * 2)).alias("t"), (a.w * 2).alias("w")), lambda a: a.t)
     value = F.lit(m * m / (2 * math.log(2))) / (z - empty + m * tail)
     return F.when(empty >= m, F.lit(0.0)).otherwise(value)
 
 
+def classic_sql(z: str, e: str) -> str:
+    """As SQL text, over a row that has m = 2^b: one expression to parse, whatever its size."""
+    raw = f"((case m when 16 then 0.673d when 32 then 0.697d when 64 then 0.709d else 0.7213d / (1 + 1.079d / m) end) * m * m / {z})"
+    return f"(case when {raw} <= 2.5d * m and {e} > 0 then m * ln(m / cast({e} as double)) else {raw} end)"
+
+
+def smooth_sql(z: str, e: str) -> str:
+    """As many steps as 2^18 registers need; for smaller sketches the last ones add nothing."""
+    x = f"(cast({e} as double) / m)"
+    fold = f"aggregate(sequence(1, 26), named_struct('x', {x}, 't', {x}, 'w', 0.5d), (a, i) -> named_struct('x', a.x * a.x, 't', a.t + a.x * a.x * (a.w * 2), 'w', a.w * 2), a -> a.t)"
+    return f"(case when {e} >= m then 0d else m * m / {2 * math.log(2)!r}d / ({z} - {e} + m * {fold}) end)"
+
+
+ESTIMATES_SQL = {"classic": classic_sql, "smooth": smooth_sql}
 ESTIMATES = {"classic": classic_estimate, "smooth": smooth_estimate}
 
 
-def scan_hll(values: DataFrame, b: int, estimator: str = "classic", seed: int = 0) -> DataFrame:
+def scan_hll(values: DataFrame, b: int, estimator: str = "classic", seed: int = 0, hashing: str = "fast") -> DataFrame:
     """Full-scan baseline: one row d_hat."""
-    s = hll_registers(values, b, seed=seed).agg(*harmonic(b))
+    s = hll_registers(values, b, seed=seed, hashing=hashing).agg(*harmonic(b))
     return s.select("z", "empty", ESTIMATES[estimator](F.col("z"), F.col("empty"), b).alias("d_hat"))
 
 
@@ -67,7 +83,7 @@ def scan_native(values: DataFrame, b: int) -> DataFrame:
 def fm_bitmaps(values: DataFrame, groups: int) -> DataFrame:
     """(grp, bits): ranks seen, as bits of a long, for each group of values."""
     d = F.md5(keyed("0", F.col("v")))
-    rank = register_and_rank(F.col("v"), 1)[1]
+    rank = register_and_rank(F.col("v"), 1, hashing="md5")[1]
     rows = values.where(F.col("v").isNotNull()).select((md5_bits(d, 2) % groups).cast("int").alias("grp"), F.call_function("shiftleft", F.lit(1).cast("long"), rank - 1).alias("bit"))
     return rows.groupBy("grp").agg(F.bit_or("bit").alias("bits"))
 

@@ -19,7 +19,7 @@ from ..functions.hashing import register_and_rank
 from ..functions.sketches import ESTIMATES
 
 
-def site_registers(local: DataFrame, b: int, seed: int = 0, hashing: str = "md5", count: str = "c") -> DataFrame:
+def site_registers(local: DataFrame, b: int, seed: int = 0, hashing: str = "fast", count: str = "c") -> DataFrame:
     """(site, reg, rd, r1) of local dictionaries; partial aggregation leaves at most 2^b rows a site."""
     reg, r = register_and_rank(F.col("v"), b, seed, hashing)
     d = local.where(F.col(count) > 0).select("site", reg.alias("reg"), r.alias("r"), F.col(count).alias("c"))
@@ -101,16 +101,15 @@ def singletons_direct(registers: DataFrame, b: int, estimator: str = "smooth") -
 
 def others_tree(registers: DataFrame, k: int) -> DataFrame:
     """Y_j from shared partial unions: node n of a level is the union of nodes 2n and 2n + 1 below, and Y_j
-    is the union of the siblings on the way from leaf j to the root. A missing sibling has no rows."""
-    level, nodes = 0, registers.select(F.col("site").cast("int").alias("node"), "reg", "rd")
-    levels = nodes.withColumn("level", F.lit(0))
-    while (1 << level) < k:
-        level += 1
-        nodes = nodes.groupBy((F.shiftright("node", 1)).alias("node"), "reg").agg(F.max("rd").alias("rd"))
-        levels = levels.unionByName(nodes.withColumn("level", F.lit(level)))
-    ways = registers.select("site", "reg", F.explode(F.sequence(F.lit(0), F.lit(max(0, level - 1)))).alias("level"))
-    ways = ways.withColumn("node", F.expr("shiftright(site, level) ^ 1"))
-    return ways.join(levels, ["level", "node", "reg"]).groupBy("site", "reg").agg(F.max("rd").alias("y"))
+    is the union of the siblings on the way from leaf j to the root. A missing sibling has no rows.
+
+    All levels are made in one aggregation: a register is of one node a level, and partial aggregation
+    unites what falls together before anything is sent."""
+    top = max(0, (k - 1).bit_length() - 1)
+    ways = registers.select("site", "reg", "rd", F.explode(F.sequence(F.lit(0), F.lit(top))).alias("level"))
+    nodes = ways.groupBy("reg", "level", F.expr("shiftright(cast(site as int), level)").alias("node")).agg(F.max("rd").alias("rd"))
+    ways = ways.select("site", "reg", "level", F.expr("shiftright(cast(site as int), level) ^ 1").alias("node"))
+    return ways.join(nodes, ["reg", "level", "node"]).groupBy("site", "reg").agg(F.max("rd").alias("y"))
 
 
 def singletons_tree(registers: DataFrame, b: int, k: int, estimator: str = "smooth") -> DataFrame:
@@ -144,11 +143,11 @@ def singletons_two_site(registers: DataFrame, b: int, estimator: str = "smooth")
     return wide.agg((card(F.greatest(sx, y)) - card(y) + card(F.greatest(sy, x)) - card(x)).alias("f1_hat"))
 
 
-def singletons_median(local: DataFrame, b: int, replicas: int = 3, estimator: str = "smooth") -> DataFrame:
+def singletons_median(local: DataFrame, b: int, replicas: int = 3, estimator: str = "smooth", hashing: str = "fast") -> DataFrame:
     """The median over independent hash seeds."""
     parts = None
     for seed in range(replicas):
-        one = singletons_runner_up(site_registers(local, b, seed), b, estimator)
+        one = singletons_runner_up(site_registers(local, b, seed, hashing), b, estimator)
         parts = one if parts is None else parts.unionByName(one)
     return parts.agg(F.percentile("f1_hat", 0.5).alias("f1_hat"))
 
@@ -194,30 +193,33 @@ def hll_others_tree(summaries: DataFrame, k: int) -> DataFrame:
     return ways.join(premerge_tree(summaries, k), ["level", "node"]).groupBy("site").agg(F.hll_union_agg("a").alias("y"))
 
 
-def hll_others_prefix_suffix(summaries: DataFrame) -> DataFrame:
+def others_by_position(summaries: DataFrame, united, join) -> DataFrame:
     """Running unions both ways. One task holds the sites' sketches in turn, so it is for some thousands of sites.
     Edges are made null by their position: the union of an empty frame has a default size that can't be joined."""
     up, down = Window.orderBy("site"), Window.orderBy(F.desc("site"))
     frame = lambda w: w.rowsBetween(Window.unboundedPreceding, -1)
     d = summaries.select(
         "site",
-        F.when(F.row_number().over(up) > 1, F.hll_union_agg("a").over(frame(up))).alias("p"),
-        F.when(F.row_number().over(down) > 1, F.hll_union_agg("a").over(frame(down))).alias("q"),
+        F.when(F.row_number().over(up) > 1, united("a").over(frame(up))).alias("p"),
+        F.when(F.row_number().over(down) > 1, united("a").over(frame(down))).alias("q"),
     )
-    both = F.when(F.col("p").isNotNull() & F.col("q").isNotNull(), F.hll_union("p", "q"))
+    both = F.when(F.col("p").isNotNull() & F.col("q").isNotNull(), join("p", "q"))
     return d.select("site", F.coalesce(both, "p", "q").alias("y")).where("y is not null")
 
 
+def hll_others_prefix_suffix(summaries: DataFrame) -> DataFrame:
+    return others_by_position(summaries, F.hll_union_agg, F.hll_union)
+
+
 def singletons_hll(summaries: DataFrame, route: str, k: int) -> DataFrame:
     y = {"direct": hll_others_direct, "tree": lambda s: hll_others_tree(s, k), "prefix_suffix": hll_others_prefix_suffix}[route](summaries)
     return total_terms(hll_terms(summaries, y))
 
 
 def singletons_theta(summaries: DataFrame) -> DataFrame:
-    """The sum of |S_j without Y_j|, directly: these sketches have a difference."""
-    a, o = summaries.select("site", "s"), summaries.select(F.col("site").alias("o"), "a")
-    y = a.select("site").crossJoin(o).where("o <> site").groupBy("site").agg(F.theta_union_agg("a").alias("y"))
-    d = a.join(y, "site", "left")
+    """The sum of |S_j without Y_j|, directly: these sketches have a difference. 3 k unions."""
+    y = others_by_position(summaries, F.theta_union_agg, F.theta_union)
+    d = summaries.select("site", "s").join(y, "site", "left")
     one = F.when(F.col("y").isNull(), F.theta_sketch_estimate("s")).otherwise(F.theta_sketch_estimate(F.theta_difference("s", "y")))
     return d.agg(F.coalesce(F.sum(one), F.lit(0)).cast("double").alias("f1_hat"))
 
@@ -252,6 +254,19 @@ def intersection_estimate(x: DataFrame, y: DataFrame, b: int) -> DataFrame:
     return d.select((est("a") + est("b") - est(F.hll_union("a", "b"))).alias("common_hat"))
 
 
+def intersection_registers(registers: DataFrame, b: int, estimator: str = "smooth") -> DataFrame:
+    """The same of sites 0 and 1 from registers."""
+    est, m = ESTIMATES[estimator], 1 << b
+    side = lambda s: F.coalesce(F.max(F.when(F.col("site") == s, F.col("rd"))), F.lit(0))
+    wide = registers.groupBy("reg").agg(side(0).alias("x"), side(1).alias("y"))
+
+    def card(r: Column) -> Column:
+        full = F.count(F.when(r > 0, 1))
+        return est(F.coalesce(F.sum(F.when(r > 0, _p(r))), F.lit(0.0)) + (m - full), m - full, b)
+
+    return wide.agg((card(F.col("x")) + card(F.col("y")) - card(F.greatest("x", "y"))).alias("common_hat"))
+
+
 def intersection_from_singletons(dx: Column, dy: Column, f1: Column) -> Column:
     """For two sets, f1 of their sum is |X| + |Y| - 2 |X n Y|: exact f1 would give exact intersections."""
     return (dx + dy - f1) / 2

@@ -16,10 +16,10 @@ from ..operators import metrics as M
 from ..operators import profile as P
 from ..operators import singletons as G
 from ..sources import sinks
-from ..sources.tables import table
+from ..sources.tables import LINE, table
 from ..streaming import windows as W
 from . import sqltext as Q
-from .queries import _TRUE, MAIN, RATE, SITES, _near, c, evidence, local, oracle_sql, queries, register, sampled, sql_evidence, values, with_
+from .queries import CHECKED, MAIN, RATE, SITES, _near, c, evidence, local, near_sql, oracle_sql, queries, register, sampled, sql_evidence, values, with_
 
 # Sources and sinks ----------------------------------------------------------------------------------
 
@@ -32,8 +32,7 @@ register(
 
 def _shared(spark: SparkSession) -> str:
     """A new folder in the place that driver and executors share."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints"
-    return f"{root.rstrip('/')}/rarecount-{uuid.uuid4().hex}"
+    return f"{sinks.shared_root(spark)}/rarecount-{uuid.uuid4().hex}"
 
 
 def _roundtrip(s: SparkSession, d: str) -> DataFrame:
@@ -41,7 +40,7 @@ def _roundtrip(s: SparkSession, d: str) -> DataFrame:
     path, both = _shared(s), local(s, d)
     for half in (0, 1):
         part = both.where(c("site") % 2 == half)
-        sinks.write_registers(G.site_registers(part, 10), path, MAIN, f"b{half}")
+        sinks.write_registers(G.site_registers(part, 10, hashing=CHECKED), path, MAIN, f"b{half}")
     state = G.register_state(sinks.read_registers(s, path, MAIN))
     return state.select("reg", "m1", "m2")
 
@@ -143,7 +142,7 @@ register("grouping_sets_profile", _grouping, "SELECT l_returnflag, l_linestatus,
 
 def _rollup_sketches(s: SparkSession, d: str) -> DataFrame:
     """Register sketches of the finest level, merged upwards: equal to sketches of each level from scratch."""
-    reg, r = K.register_and_rank(c("l_partkey"), 10)
+    reg, r = K.register_and_rank(c("l_partkey"), 10, hashing=CHECKED)
     fine = table(s, d, "lineitem").select("l_returnflag", "l_linestatus", reg.alias("reg"), r.alias("r")).groupBy("l_returnflag", "l_linestatus", "reg").agg(F.max("r").alias("r"))
     return K.merged_registers(fine, ["l_returnflag"])
 
@@ -161,7 +160,7 @@ def _per_site(s: SparkSession, d: str) -> DataFrame:
     return _near(summ.agg(F.sum(F.hll_sketch_estimate("a")).alias("x"), F.sum("d").alias("y")), c("x"), c("y"), 0.05)
 
 
-register("sketch_per_site", _per_site, _TRUE)
+register("sketch_per_site", _per_site, near_sql("SELECT count(*) FROM local", Q.sample(MAIN, RATE, 8), Q.LOCAL))
 
 # Windows --------------------------------------------------------------------------------------------
 
@@ -291,7 +290,7 @@ def _gee_groups(s: SparkSession, d: str) -> DataFrame:
     from ..operators.sampling import bound
 
     line = table(s, d, "lineitem")
-    digest = F.md5(keyed("s", *[c(x) for x in ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")]))
+    digest = F.md5(keyed("s", *[F.expr(x) for x in LINE]))
     counts = line.where(md5_bits(digest, 0) < bound(RATE)).groupBy("l_returnflag", "l_partkey").agg(F.count("*").alias("i"))
     ev = counts.groupBy("l_returnflag").agg(F.sum("i").alias("n"), F.count("*").alias("d"), F.count(F.when(c("i") == 1, 1)).alias("f1"))
     pop = line.groupBy("l_returnflag").agg(F.count("*").alias("rows_all"))
@@ -301,7 +300,7 @@ def _gee_groups(s: SparkSession, d: str) -> DataFrame:
 register(
     "gee_of_groups",
     _gee_groups,
-    f"WITH x AS (SELECT l_returnflag, count(*) AS i FROM lineitem WHERE {Q.bits(Q.digest('s', 'l_orderkey', 'l_linenumber', 'l_partkey', 'l_suppkey'), 0)} < {Q.bound(RATE)} GROUP BY l_returnflag, l_partkey), "
+    f"WITH x AS (SELECT l_returnflag, count(*) AS i FROM lineitem WHERE {Q.bits(Q.digest('s', *LINE), 0)} < {Q.bound(RATE)} GROUP BY l_returnflag, l_partkey), "
     "e AS (SELECT l_returnflag, sum(i) AS n, count(*) AS d, count(*) FILTER (i = 1) AS f1 FROM x GROUP BY 1), p AS (SELECT l_returnflag, count(*) AS rows_all FROM lineitem GROUP BY 1) "
     "SELECT l_returnflag, round(d + (sqrt(rows_all / n::DOUBLE) - 1) * f1, 4) AS d_hat FROM e JOIN p USING (l_returnflag)",
 )
@@ -356,13 +355,20 @@ register(
     lambda s, d: s.createDataFrame([(eps, share, A.b_for(eps, share), A.b_for(eps, share, "bound")) for eps in (0.02, 0.05, 0.1) for share in (0.0018, 0.14, 0.8)], "eps double, c double, b_fit int, b_bound int"),
     "SELECT * FROM (VALUES " + ", ".join(f"({eps}::DOUBLE, {share}::DOUBLE, {A.b_for(eps, share)}, {A.b_for(eps, share, 'bound')})" for eps in (0.02, 0.05, 0.1) for share in (0.0018, 0.14, 0.8)) + ") t(eps, c, b_fit, b_bound)",
 )
-register("expected_share_agrees", lambda s, d: _share_agrees(s, d), _TRUE)
 
 
 def _share_agrees(s: SparkSession, d: str) -> DataFrame:
-    """The expected share of singletons at the sample's rate is near the sample's own."""
+    """The expected share of singletons at the sample's rate beside the sample's own."""
     want = A.c_at(P.exact_profile(values(s, d)), [RATE])
-    return _near(A.assumption_ratio(evidence(s, d)).crossJoin(want), c("ratio"), c("c"), 0.1)
+    both = A.assumption_ratio(evidence(s, d)).crossJoin(want)
+    return both.select(F.round("ratio", 6).alias("ratio"), "c", (F.abs(c("ratio") - c("c")) <= 0.1 * c("c")).alias("within"))
+
+
+register(
+    "expected_share_agrees",
+    _share_agrees,
+    f"SELECT round(a.ratio, 6) AS ratio, b.c, true AS within FROM ({oracle_sql()['assumption_ratio']}) a, ({oracle_sql()['share_by_rate']}) b WHERE b.q = {RATE!r}",
+)
 
 
 # Streams --------------------------------------------------------------------------------------------
@@ -370,6 +376,25 @@ def _share_agrees(s: SparkSession, d: str) -> DataFrame:
 register("stream_window_evidence", lambda s, d: W.replay(s, f"{d}/events.parquet", W.window_evidence, "1 hour"), W.WINDOW_SQL)
 register("stream_session_counts", lambda s, d: W.replay(s, f"{d}/events.parquet", W.session_counts, "30 minutes"), W.SESSION_SQL)
 register("stream_dedup", lambda s, d: W.replay(s, f"{d}/events.parquet", W.dedup, None), "SELECT count(DISTINCT event_id) AS n FROM events")
-register("stream_window_distinct", lambda s, d: W.replay(s, f"{d}/events.parquet", W.window_sketches, "1 hour").select((F.abs(c("d_hat") - c("d")) <= 0.1 * c("d") + 2).alias("ok")).agg(F.min("ok").alias("ok")), _TRUE)
+register("stream_window_distinct", lambda s, d: W.replay(s, f"{d}/events.parquet", W.window_sketches, "1 hour").select("start", "d", (F.abs(c("d_hat") - c("d")) <= 0.05 * c("d") + 1).alias("within")), W.DISTINCT_SQL)
 register("stream_merged_windows", lambda s, d: W.merge_closed(W.replay(s, f"{d}/events.parquet", W.window_counts, "1 hour")), W.MERGED_SQL)
 register("stream_sliding_evidence", lambda s, d: W.replay(s, f"{d}/events.parquet", W.sliding_evidence, "1 hour"), W.SLIDING_SQL)
+
+
+def _site_sketches(s: SparkSession, d: str) -> DataFrame:
+    """Counts of each closed window and site, and whether its two sketches agree with them."""
+    x = W.replay(s, f"{d}/events.parquet", W.site_sketches, "1 hour")
+    near = lambda sketch, n: F.abs(F.hll_sketch_estimate(sketch) - c(n)) <= 0.05 * c(n) + 1
+    return x.select("start", "site", "n", "d", "f1", (near("a", "d") & near("s", "f1")).alias("within"))
+
+
+def _sketch_merge(s: SparkSession, d: str) -> DataFrame:
+    """Sketches of all closed windows and sites united, against the number of their users."""
+    union = W.merged_sketches(s, f"{d}/events.parquet", "1 hour").agg(F.hll_sketch_estimate(F.hll_union_agg("a")).alias("x"))
+    truth = W.replay(s, f"{d}/events.parquet", W.window_counts, "1 hour").agg(F.countDistinct("v").alias("t"))
+    return _near(union.crossJoin(truth), c("x"), c("t"), 0.05)
+
+
+register("stream_site_sketches", _site_sketches, W.SITE_SQL)
+register("stream_sketch_merge", _sketch_merge, W.UNION_SQL)
+register("stream_late_rows", lambda s, d: W.late_rows(s, W.thirds(s, f"{d}/events.parquet")), W.LATE_SQL)

@@ -1,4 +1,4 @@
-"""The experiments: errors by sketch size, sensitivity of singletons, communication, and time by route.
+"""The experiments on a larger scale than the registered queries: errors by sketch size, sensitivity of singletons, communication, and time by route.
 
     python -m rarecount.plans.workloads errors|sensitivity|communication|routes|shuffle [folder of tables]
 
@@ -16,12 +16,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import estimators as E
-from ..functions import sketches as K
 from ..operators import analysis as A
 from ..operators import metrics as M
 from ..operators import profile as P
 from ..operators import sampling as S
 from ..operators import singletons as G
+from ..operators import summary as Y
 from . import queries as Q
 
 GENERATED = {f"poisson_{m}": ("poisson", m) for m in (50, 100, 200)} | {f"zipf_{x}": ("zipf", x) for x in (1.2, 1.5, 2.0)}
@@ -35,77 +35,51 @@ def population_profile(spark: SparkSession, name: str, scale: int) -> DataFrame:
 
 def simulated(profile: DataFrame, q: float, k: int, seed: int = 0) -> DataFrame:
     """(v, site, res): sampled rows of a population that is known by its profile only."""
-    v = F.xxhash64("i", "j")
+    v = F.xxhash64("i", "c", "j")
     rows = S.sample_from_profile(profile, q, seed).select(v.alias("v"), F.explode(F.sequence(F.lit(1).cast("long"), F.col("c"))).alias("o"))
     h = F.xxhash64(F.lit(seed + 1), "v", "o")
     return rows.select("v", F.pmod(h, F.lit(k)).cast("int").alias("site"), (F.pmod(F.shiftrightunsigned(h, 24), F.lit(1 << 30)) < int(q * (1 << 30))).alias("res"))
 
 
-def sketched_evidence(local: DataFrame, rows_all: DataFrame, b: int, depth: int = 3, width: int = 20_000) -> DataFrame:
-    """d, f1, m2, d_res, f1_res from sketches; n and rows_all from counts."""
-    one = None
-    for suffix, count in (("", "c"), ("_res", "c_res")):
-        r = G.site_registers(local, b, count=count, hashing="fast")
-        f1 = G.singletons_runner_up(r, b).select(F.col("f1_hat").alias(f"f1{suffix}"))
-        d = K.merged_registers(r.select("reg", F.col("rd").alias("r"))).agg(*K.harmonic(b)).select(K.smooth_estimate(F.col("z"), F.col("empty"), b).alias(f"d{suffix}"))
-        both = d.crossJoin(f1).withColumn(f"f1{suffix}", G.clamped(F.col(f"f1{suffix}"), F.col(f"d{suffix}")))
-        one = both if one is None else one.crossJoin(both)
-    m2 = K.count_sketch_f2(K.count_sketch(local, depth, width))
-    return one.crossJoin(m2).crossJoin(local.agg(F.sum("c").alias("n"))).crossJoin(rows_all)
-
-
-def exact_evidence(local: DataFrame, rows_all: DataFrame) -> DataFrame:
-    prof = P.profile_of_counts(P.merged(local))
-    res = local.groupBy("v").agg(F.sum("c_res").alias("t")).where("t > 0").agg(F.count("*").alias("d_res"), F.count(F.when(F.col("t") == 1, 1)).alias("f1_res"))
-    return P.exact_evidence(prof).crossJoin(rows_all).crossJoin(res)
-
-
 def inputs(spark: SparkSession, sf: str, q: float, k: int, scale: int) -> Iterator[tuple[str, DataFrame, DataFrame, DataFrame]]:
-    """(name, local dictionaries, one row rows_all, one row truth) of every data set."""
+    """(name, tagged sample, one row rows_all, one row truth) of every data set."""
     for name in ("orderkey", "totalprice", "revenue"):
         v = Q.values(spark, sf, name)
-        yield name, Q.local(spark, sf, name, q, k), v.agg(F.count("*").alias("rows_all")), v.agg(F.countDistinct("v").alias("truth"))
+        yield name, Q.sampled(spark, sf, name, q, k), v.agg(F.count("*").alias("rows_all")), v.agg(F.countDistinct("v").alias("truth"))
     for name in GENERATED:
         prof = population_profile(spark, name, scale)
         total = prof.agg(P.moment(prof, 1).alias("rows_all"), P.moment(prof, 0).alias("truth"))
-        yield name, P.local_counts(simulated(prof, q, k)), total.select("rows_all"), total.select("truth")
+        yield name, simulated(prof, q, k), total.select("rows_all"), total.select("truth")
 
 
-def errors(spark: SparkSession, sf: str, bits=(10, 14, 18), q: float = 0.1, k: int = 64, scale: int = 20_000) -> Iterator[dict]:
+def errors(spark: SparkSession, sf: str, bits=(10, 12, 14, 16, 18), q: float = 0.1, k: int = 64, scale: int = 20_000) -> Iterator[dict]:
     """Relative errors of sketched estimates against exact-profile ones and against the truth."""
-    for name, local, rows_all, truth in inputs(spark, sf, q, k, scale):
-        local = local.cache()
-        exact = {(r.estimator, r.form): r.d_hat for r in E.estimate_all(exact_evidence(local, rows_all)).collect()}
-        d = truth.first().truth
-        for b in bits:
-            for r in E.estimate_all(sketched_evidence(local, rows_all, b)).collect():
-                ex = exact.get((r.estimator, r.form))
-                if r.d_hat is not None and ex:
-                    yield {"data": name, "b": b, "estimator": r.estimator, "form": r.form, "vs_exact": abs(r.d_hat - ex) / ex, "vs_truth": abs(r.d_hat - d) / d}
-        local.unpersist()
+    for name, sample, rows_all, truth in inputs(spark, sf, q, k, scale):
+        sk = Y.sketched_evidence(sample, list(bits)).crossJoin(rows_all)
+        for r in Q.grid(spark, sk, P.evidence_of_counts(P.dictionary(sample)).crossJoin(rows_all), truth).collect():
+            if r.vs_exact is not None:
+                yield {"data": name} | r.asDict()
 
 
 def sensitivity(spark: SparkSession, sf: str, b: int = 16, q: float = 0.1, k: int = 64, scale: int = 20_000) -> Iterator[dict]:
     """Relative error of the number of singletons by data."""
-    for name, local, _, _ in inputs(spark, sf, q, k, scale):
-        local = local.cache()
-        f1 = G.singletons_exact_sets(local).first().f1
-        hat = G.singletons_runner_up(G.site_registers(local, b, hashing="fast"), b).first().f1_hat
-        d = P.merged(local).count()
-        yield {"data": name, "b": b, "f1": f1, "f1_hat": hat, "share": f1 / d if d else None, "err": abs(hat - f1) / f1 if f1 else None}
-        local.unpersist()
+    for name, sample, _, _ in inputs(spark, sf, q, k, scale):
+        exact = P.evidence_of_counts(P.dictionary(sample)).first()
+        hat = Y.sketched_evidence(sample, b, ("d", "f1")).first().f1
+        yield {"data": name, "b": b, "f1": exact.f1, "f1_hat": hat, "share": exact.f1 / exact.d if exact.d else None, "err": abs(hat - exact.f1) / exact.f1 if exact.f1 else None}
 
 
 def communication(spark: SparkSession, sf: str, bits=(10, 12, 14), rates=(0.05, 0.1, 0.2, 0.4), k: int = 64) -> Iterator[dict]:
-    """Bytes that leave the sites: dictionaries by rate, registers by b."""
+    """Bytes that leave the sites: dictionaries by rate, dense registers and native sketches as they are, by b."""
     for q in rates:
         local = Q.local(spark, sf, q=q, k=k).cache()
-        yield {"q": q, "dictionary": local.count() * A.ENTRY_BYTES} | {f"sketch_b{b}": k * (2 << b) for b in bits}
+        native = {f"native_b{b}": M.total_bytes(M.sketch_bytes(G.site_summaries(local, b))).first().total for b in bits}
+        yield {"q": q, "dictionary": local.count() * A.ENTRY_BYTES} | {f"sketch_b{b}": k * (2 << b) for b in bits} | native
         local.unpersist()
 
 
-def routes(spark: SparkSession, sf: str, b: int = 10, sites=(4, 16, 64, 256)) -> Iterator[dict]:
-    """Seconds and unions of each route as the number of sites grows."""
+def routes(spark: SparkSession, sf: str, b: int = 10, sites=(4, 16, 64, 256, 1024, 4096), direct_up_to: int = 256) -> Iterator[dict]:
+    """Seconds and unions of each route as the number of sites grows; the quadratic one only up to a number of them."""
     for k in sites:
         regs = G.site_registers(Q.local(spark, sf, k=k), b).cache()
         regs.count()
@@ -115,24 +89,31 @@ def routes(spark: SparkSession, sf: str, b: int = 10, sites=(4, 16, 64, 256)) ->
             "prefix_suffix": lambda r=regs: G.singletons_prefix_suffix(r, b),
             "runner_up": lambda r=regs: G.singletons_runner_up(r, b),
         }.items():
+            if route == "direct" and k > direct_up_to:
+                continue
             hat, s = M.timed(lambda f=run: f().first().f1_hat)
-            yield {"k": k, "route": route, "seconds": round(s, 3), "merges": M.merge_count(route, k), "f1_hat": hat}
+            yield {"k": k, "b": b, "route": route, "seconds": round(s, 3), "merges": M.merge_count(route, k), "f1_hat": hat}
         regs.unpersist()
 
 
-def shuffle(spark: SparkSession, sf: str, rates=(0.1, 0.2, 0.4), b: int = 10) -> Iterator[dict]:
-    """Shuffled bytes and seconds of GEE by dictionary merge and by sketches, both over partition-local runs."""
+def gee_both_ways(sample: DataFrame, rows_all: int, b: int) -> dict[str, DataFrame]:
+    """The whole estimate by the dictionary merge and by sketches, from the same sample."""
+    exact, sk = P.evidence_of_counts(P.dictionary(sample)), Y.sketched_evidence(sample, b, E.needs("gee"))
+    return {n: e.select(E.gee(F.col("d"), F.col("f1"), F.lit(rows_all), F.col("n")).alias("gee")) for n, e in (("dictionary", exact), ("sketch", sk))}
+
+
+def shuffle(spark: SparkSession, sf: str, rates=(0.1, 0.2, 0.4, 0.8), b: int = 10, name: str = "extendedprice") -> Iterator[dict]:
+    """Bytes read and shuffled, and seconds, of GEE both ways."""
+    rows_all = Q.values(spark, sf, name).count()
     for q in rates:
-        runs = P.local_counts(Q.sampled(spark, sf, q=q), "runlength")
-        for name, run in {"dictionary": lambda r=runs: P.exact_evidence(P.profile_of_counts(P.merged(r))).collect(), "sketch": lambda r=runs: G.singletons_runner_up(G.site_registers(r, b, hashing="fast"), b).collect()}.items():
-            s = 0.0
+        for route, df in gee_both_ways(Q.sampled(spark, sf, name, q), rows_all, b).items():
+            got: dict = {}
 
-            def timed(f=run):
-                nonlocal s
-                _, s = M.timed(f)
+            def run(df=df, got=got):
+                got["gee"], got["seconds"] = M.timed(lambda: df.first().gee)
 
-            io = M.stage_io(spark, timed)
-            yield {"q": q, "route": name, "seconds": round(s, 3)} | io
+            io = M.stage_io(spark, run)
+            yield {"q": q, "route": route} | got | io
 
 
 def main(args: list[str]) -> None:

@@ -12,6 +12,7 @@ from rarecount.operators import analysis as A
 from rarecount.operators import metrics as M
 from rarecount.operators import profile as P
 from rarecount.operators import singletons as G
+from rarecount.operators import summary as U
 from rarecount.plans import queries as Q
 
 LOCAL = "site int, v long, c long, c_res long"
@@ -120,12 +121,106 @@ def test_runlength_has_no_exchange_and_equals_groupby(spark):
     run = P.local_counts(s, "runlength")
     assert M.count_exchanges(run) == 0
     assert M.count_exchanges(G.site_registers(run, 8)) == 1
+    assert {r.site >> 32 for r in run.select("site").distinct().collect()} == set(range(6))
     a = P.merged(run).collect()
     b = P.merged(P.local_counts(s)).collect()
     assert sorted(a) == sorted(b)
     assert run.agg(F.sum("c_res")).first()[0] == 3000
 
 
+def test_runs_go_on_over_chunks():
+    import pyarrow as pa
+
+    r = random.Random(4)
+    data = sorted((r.randrange(3), r.choice("abcdefgh") * r.randrange(1, 3), r.randrange(2)) for _ in range(500))
+    for size, rows in ((1, 1), (7, 20), (50, 60), (500, 1000)):
+        batches = [pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*data[i : i + size], strict=True)], names=["site", "v", "res"]) for i in range(0, len(data), size)]
+        got = [(a, b, int(c), int(x)) for (s, v), cs, xs in P.runs(iter(batches), 2, rows) for a, b, c, x in zip(s.to_pylist(), v.to_pylist(), cs, xs, strict=True)]
+        want = {}
+        for s, v, x in data:
+            c, t = want.get((s, v), (0, 0))
+            want[s, v] = c + 1, t + x
+        assert got == [(*k, *w) for k, w in want.items()]
+
+
+@pytest.mark.parametrize("estimator", ["classic", "smooth"])
+def test_summary_equals_the_routes_over_registers(spark, estimator):
+    """One pass with pruning in the tasks gives what leave-one-out over all registers of all sites gives."""
+    s = spark.range(0, 20_000, 1, 5).select((F.col("id") * F.col("id") % 7919).alias("v"), (F.col("id") % 4 == 0).alias("res"), (F.col("id") % 3).cast("int").alias("site"))
+    one = U.sketched_evidence(s, [8, 10], estimator=estimator).collect()
+    assert [r.b for r in one] == [8, 10]
+    for r in one:
+        whole = U.site_summary(s, r.b, ("d", "d_res"), prune=False).cache()
+        for kind, d, f1 in ((U.SAMPLE, r.d, r.f1), (U.RESAMPLE, r.d_res, r.f1_res)):
+            regs = U.registers(whole, kind)
+            hat = G.singletons_direct(regs, r.b, estimator).first().f1_hat
+            assert math.isclose(f1, min(max(hat, 0), d), rel_tol=1e-9)
+            z = K.merged_registers(regs.select("reg", F.col("rd").alias("r"))).agg(*K.harmonic(r.b)).select(K.ESTIMATES[estimator](F.col("z"), F.col("empty"), r.b).alias("d")).first().d
+            assert math.isclose(d, z, rel_tol=1e-12)
+    exact = P.evidence_of_counts(P.dictionary(s)).first()
+    assert one[0].n == exact.n == 20_000 and abs(one[0].m2 / exact.m2 - 1) < 0.05
+    empty = U.sketched_evidence(s.where("v < 0"), 8).first()
+    assert empty.n == 0 and empty.d is None
+
+
+def test_sketch_path_moves_no_values(spark):
+    """One scan of the sample, and no exchange by site or value: only summary rows move."""
+    for e in (4, 14):
+        plan = Q.sketched(spark, "/root/testdata/sf0.001", b=e)
+        text = M.plan_text(plan)
+        keys = [x.split("]")[0] for x in text.split("Exchange hashpartitioning(")[1:]]
+        assert text.count("MapInArrow") == 1 and "site#" not in "".join(k.split(",")[0] for k in keys)
+        assert M.count_exchanges(plan) == 3 and text.count("FileScan") == 2
+    assert "hashpartitioning(v#" not in text
+
+
+def test_blocks_are_whole_files_and_unread_ones_are_left(spark, tmp_path):
+    from rarecount.operators import sampling as S
+
+    spark.range(0, 4000, 1, 16).write.parquet(str(tmp_path / "t"))
+    t = spark.read.parquet(str(tmp_path / "t"))
+    for unit in ("file", "block"):
+        got = S.sample_blocks(t, 0.4, unit=unit)
+        files = {r[0] for r in got.select("_metadata.file_path").distinct().collect()}
+        assert 0 < len(files) < 16 and got.count() == 250 * len(files)
+    io = M.stage_io(spark, lambda: S.sample_blocks(t, 0.4).agg(F.sum("id")).collect())
+    assert io["input_bytes"] < 0.8 * M.stage_io(spark, lambda: t.agg(F.sum("id")).collect())["input_bytes"]
+
+
+def test_counts_of_samples_cost_no_rows(spark):
+    """10^12 rows: the profile's lines are all that is drawn; numbers agree with the binomial law."""
+    from rarecount.operators import sampling as S
+
+    prof = spark.createDataFrame([(1, 10**11), (50, 2 * 10**10), (5000, 7), (3, 40)], "i long, f long")
+    got = {(r.i, r.c): r.f for r in S.counts_of_samples(prof, 0.01).collect()}
+    for i, f in ((1, 10**11), (50, 2 * 10**10)):
+        for c in range(1, min(i, 4) + 1):
+            want = f * math.comb(i, c) * 0.01**c * 0.99 ** (i - c)
+            assert abs(got[i, c] / want - 1) < 6 / math.sqrt(want)
+    assert sum(f for (i, _), f in got.items() if i == 5000) == 7 and sum(f for (i, _), f in got.items() if i == 3) <= 40
+    small = S.sample_from_profile(spark.createDataFrame([(2, 250_000)], "i long, f long"), 0.5, block=1000)
+    n = {r.c: r["count"] for r in small.groupBy("c").count().collect()}
+    assert abs(n[1] - 125_000) < 2000 and abs(n[2] - 62_500) < 2000
+
+
+def test_adaptive_estimator_by_hand(spark):
+    """f1 = f2 = 1 and nothing else: m solves m - 2 = (m e^(-3/m)) / (3 e^(-3/m)) = m / 3, so m = 3 and the estimate is 3."""
+    prof = spark.createDataFrame([(1, 1), (2, 1)], "i long, f long")
+    assert math.isclose(E.adaptive_estimator(prof).first().d_hat, 3, rel_tol=1e-9)
+
+
+def test_shared_folder_must_be_named_on_a_cluster():
+    from types import SimpleNamespace as N
+
+    from rarecount.sources import sinks
+
+    none = N(isDefined=lambda: False)
+    session = lambda master: N(conf=N(get=lambda *_: None), sparkContext=N(master=master, _jsc=N(sc=lambda: N(getCheckpointDir=lambda: none))))
+    assert sinks.shared_root(session("local[2]")).startswith("file:")
+    with pytest.raises(RuntimeError):
+        sinks.shared_root(session("spark://host:7077"))
+
+
 def test_bucketed_source_needs_no_exchange(spark):
     from rarecount.sources import sinks
 
