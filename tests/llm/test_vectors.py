@@ -33,20 +33,61 @@ def test_empty_and_null_ids(spark):
     assert V.near_vectors(spark.createDataFrame([], SCHEMA)).count() == 0
     df = spark.createDataFrame([(None, [1.0, 2.0], 1), (4, [1.0, 2.0], 1), (4, [1.0, 2.0], 1)], SCHEMA)
     got = sorted((str(r[0]), r[1], r[2], r[3]) for r in V.near_vectors(df).select("vec_id", "n_links", "component_id", "kept").collect())
-    assert got == [("4", 1, 4, True), ("4", 1, 4, True), ("None", 0, None, True)]
+    assert got == [("4", 0, 4, True), ("4", 0, 4, True), ("None", 0, None, True)]
 
 
-def test_walk_alone_has_high_recall():
-    r = np.random.default_rng(3)
-    x = V.unit(np.repeat(r.standard_normal((60, 32)), 5, axis=0) + 0.05 * r.standard_normal((300, 32)))
-    ids, one = np.arange(300), np.ones(300, np.int64)
-    edges = V.edges_of(V.robust_prune(x))
-    links, walked, _ = V.link_block(x, ids, one, edges, x[:0], ids[:0], 0.98)
-    exact = (x @ x.T >= 0.98).sum(axis=1) - 1
-    assert (links == exact).all() and walked.sum() >= 0.9 * exact.sum()
+def clustered(seed=3, groups=60, size=5, dim=32, noise=0.05):
+    r = np.random.default_rng(seed)
+    return V.unit(np.repeat(r.standard_normal((groups, dim)), size, axis=0) + noise * r.standard_normal((groups * size, dim)))
+
+
+def test_links_are_what_the_walk_finds():
+    """Without the completion the graph alone makes the result; without the graph there is none."""
+    for seed, groups, size, dim, noise in ((3, 60, 5, 32, 0.05), (4, 300, 4, 64, 0.08), (5, 5, 200, 16, 0.04)):
+        x = clustered(seed, groups, size, dim, noise)
+        ids, one = np.arange(len(x)), np.ones(len(x), np.int64)
+        exact = (x @ x.T >= 0.98).sum(axis=1) - 1
+        edges = V.edges_of(V.robust_prune(x))
+        links, walked, _ = V.link_block(x, ids, one, edges, x[:0], ids[:0], 0.98, complete=False)
+        assert (links == walked).all() and (links <= exact).all() and links.sum() >= 0.99 * exact.sum() > 0
+        none = np.zeros(0, np.int64)
+        bare = V.link_block(x, ids, one, (none, none), x[:0], ids[:0], 0.98, complete=False)
+        assert bare[0].sum() < 0.1 * exact.sum()
+        # The audit notices, and the completion repairs it.
+        whole, walked, _ = V.link_block(x, ids, one, (none, none), x[:0], ids[:0], 0.98)
+        assert (whole == exact).all() and walked.sum() < 0.1 * exact.sum()
+
+
+def test_walk_compares_few_points():
+    x = clustered(7, 400, 3, 32, 0.05).astype(np.float32)
+    adj = V.both_ways(len(x), *V.edges_of(V.robust_prune(x.astype(float))))
+    looked = 0
+    real = np.einsum
+
+    def counting(how, a, b, out):
+        nonlocal looked
+        looked += len(a)
+        return real(how, a, b, out=out)
+
+    V.np.einsum, before = counting, V.np.einsum
+    try:
+        V.walk(adj, x, x[:200], V.medoids_of(x), np.float32(0.92))
+    finally:
+        V.np.einsum = before
+    assert looked < 0.6 * 200 * len(x)
+
+
+def test_hot_label_is_split_and_again(spark):
+    """One label with most rows, cells of cells, and a cluster that no split makes smaller."""
+    r = np.random.default_rng(9)
+    tight = V.unit(r.standard_normal((1, 8)) + 0.01 * r.standard_normal((90, 8)))
+    x = np.concatenate((clustered(11, 400, 3, 8, 0.03), tight)).astype(np.float32)
+    data = [(i, [float(c) for c in v], 7 if i % 9 else i % 5) for i, v in enumerate(x)]
+    got = {r[0]: (r[1], r[2]) for r in V.near_vectors(spark.createDataFrame(data, SCHEMA), block=12).select("vec_id", "n_links", "component_id").collect()}
+    assert got == brute.vectors(data)
 
 
 def test_pruning_drops_occluded_neighbours():
     x = V.unit(np.array([[1.0, 0.0], [1.0, 0.01], [1.0, 0.02], [0.0, 1.0]]))
     lists = V.robust_prune(x)
-    assert lists[0, 0] == 1 and 2 not in lists[0]
+    assert lists[0, 0] == 1 and 2 not in lists[0, : V.DEGREE]
