@@ -1,18 +1,18 @@
 """Line dedup by pairwise alignment.
 
-Lines that two documents share seed the pair. A seed is a line that is rare (in at most ``rare``
-documents) or long enough to be a block of its own. Instead of all pairs among a line's holders,
-every holder is paired with the first one (the smallest id), which is linear in the number of lines.
-Each pair is then aligned by patience diff: lines that are unique in both anchor the alignment, the longest
-increasing run of anchors is kept, and it is grown over equal neighbours. Aligned blocks of at least
-``least_words`` words are deleted from the later document.
-
-Pairs and alignment alone miss blocks of frequent short lines, blocks that a document repeats, blocks in
-another order, and blocks whose lines have other first holders. So runs of lines are matched as well: from
-each line the shortest run on, and the shortest run back, of at least ``least_words`` words. A block that
-two documents share is covered by such runs of both (see ``runs``), so that in the end a line goes if, and only if,
-it lies in consecutive lines of at least ``least_words`` words that stand in an earlier document too. Runs
-are two a line at most, and each is matched with its first holder only.
+Lines that two documents share seed the pair. A rare line (of ``SEED_WORDS`` words or more, in at most ``rare``
+documents) pairs all its holders; a line that is more frequent, but long enough to be a block of its own, pairs every
+holder with the first one (the smallest id), which is linear in the number of lines. Each pair is then aligned by
+patience diff: lines that are unique in both anchor the alignment, the longest increasing run of anchors is
+kept, and it is grown over equal neighbours. Aligned blocks of at least ``least_words`` words are deleted from the
+later document (``n_aligned`` of the report counts their lines).
+
+Alignment alone misses blocks of frequent short lines only, blocks that a document repeats, and blocks in
+another order; every holder of a frequent line meets one partner only. A second pass completes it: runs of lines are
+matched exactly, from each line the shortest run on, and the shortest run back, of at least ``least_words`` words. A
+block that two documents share is covered by such runs of both (see ``runs``), and an aligned block is such a block, so
+that in the end a line goes if, and only if, it lies in consecutive lines of at least ``least_words`` words that stand in
+an earlier document too. Runs are two a line at most, and each is matched with its first holder only.
 
 Lines are compared as they stand. Defined results: null texts stay null; a text whose lines all go
 becomes empty, its row stays; rows that repeat an id are told apart by their text, and of rows equal in both
@@ -164,17 +164,15 @@ def deletions(df: DataFrame, id_col: str, text: str, rare: int = RARE, least_wor
         one.groupBy("h")
         .agg(F.count("*").alias("df"), F.min(F.struct("doc", "tkey")).alias("first"), F.max("w").alias("w"))
         .where((F.col("df") > 1) & ((F.col("w") >= least_words) | (F.col("df") <= rare)))
-        .select("h", F.col("first.doc").alias("fdoc"), F.col("first.tkey").alias("fkey"))
+        .select("h", F.col("first.doc").alias("fdoc"), F.col("first.tkey").alias("fkey"), (F.col("df") <= rare).alias("few"))
     )
     # As a table of its own, so that the join shuffles both sides and can split those of a very common line.
     first = stored(first, "firsts")
-    pairs = (
-        one.join(first, "h")
-        .where((F.col("doc") != F.col("fdoc")) | (F.col("tkey") != F.col("fkey")))
-        .select("doc", "tkey", "fdoc", "fkey")
-        .distinct()
-    )
+    seeded = one.join(first, "h")
+    star = seeded.where(~F.col("few") & ((F.col("doc") != F.col("fdoc")) | (F.col("tkey") != F.col("fkey")))).select("doc", "tkey", "fdoc", "fkey")
+    pairs = star.unionByName(rare_pairs(seeded.where("few"))).distinct()
     ahead = d.select(F.col("doc").alias("fdoc"), F.col("tkey").alias("fkey"), F.col("hs").alias("fhs"))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             gone = []
@@ -188,8 +186,20 @@ def deletions(df: DataFrame, id_col: str, text: str, rare: int = RARE, least_wor
         .select("doc", "tkey", "fhs", "hs", "ws")
         .mapInArrow(run, "doc long, tkey long, gone array<int>")
     )
-    found = aligned.where(F.size("gone") > 0).unionByName(repeated(d, least_words))
-    return found.groupBy("doc", "tkey").agg(F.sort_array(F.array_distinct(F.flatten(F.collect_list("gone")))).alias("gone"))
+    found = aligned.where(F.size("gone") > 0).withColumn("by", F.lit("pair")).unionByName(repeated(d, least_words).withColumn("by", F.lit("run")))
+    # A document's pairs are as many as its seeds at most; their lines are united, pair by pair.
+    lines = lambda x: F.array_distinct(F.flatten(F.collect_list(x)))
+    return found.groupBy("doc", "tkey").agg(F.sort_array(lines("gone")).alias("gone"), F.size(lines(F.when(F.col("by") == "pair", F.col("gone")))).alias("aligned"))
+
+
+def rare_pairs(holders: DataFrame) -> DataFrame:
+    """(doc, tkey, fdoc, fkey): all pairs of holders of the same rare line, the later one first.
+
+    A rare line has a bounded number of holders; lines of the same holders, as those of copies, make their pairs once."""
+    sets = holders.groupBy("h").agg(F.sort_array(F.collect_list(F.struct("doc", "tkey"))).alias("at")).select("at").distinct()
+    later = sets.select("at", F.explode(F.sequence(F.lit(2), F.size("at"))).alias("j"))
+    both = later.select(F.element_at("at", F.col("j")).alias("b"), F.explode(F.slice("at", F.lit(1), F.col("j") - 1)).alias("a"))
+    return both.select(F.col("b.doc").alias("doc"), F.col("b.tkey").alias("tkey"), F.col("a.doc").alias("fdoc"), F.col("a.tkey").alias("fkey"))
 
 
 def repeated(d: DataFrame, least_words: int) -> DataFrame:
@@ -228,7 +238,7 @@ def repeated(d: DataFrame, least_words: int) -> DataFrame:
 
 
 def with_deletions(df: DataFrame, id_col: str, text: str, **how) -> DataFrame:
-    gone = deletions(df, id_col, text, **how).select(F.col("doc").alias("__doc"), F.col("tkey").alias("__tkey"), F.col("gone").alias("__gone"))
+    gone = deletions(df, id_col, text, **how).select(F.col("doc").alias("__doc"), F.col("tkey").alias("__tkey"), F.col("gone").alias("__gone"), F.col("aligned").alias("__aligned"))
     return df.join(gone, (F.col(id_col).cast("long") == F.col("__doc")) & (F.xxhash64(text) == F.col("__tkey")), "left")
 
 
@@ -250,5 +260,6 @@ def report(df: DataFrame, id_col: str = "doc_id", text: str = "text", **how) ->
         F.when(F.col(text).isNull(), 0).otherwise(F.size(lines_of(F.col(text)))).cast("long").alias("n_lines"),
         F.coalesce(F.size("__gone"), F.lit(0)).cast("long").alias("n_deleted"),
         F.coalesce(F.array_join(F.col("__gone").cast("array<string>"), ","), F.lit("")).alias("deleted_lines"),
+        F.coalesce("__aligned", F.lit(0)).cast("long").alias("n_aligned"),
         cleaned(text).alias(text),
     )

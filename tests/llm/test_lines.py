@@ -102,3 +102,35 @@ def test_any_order_of_lines_equals_brute_force(spark, docs):
     texts = ["\n".join(rnd.choices(pool, k=rnd.randint(1, 12))) for _ in range(80)]
     got = {r.doc_id: r.deleted_lines for r in L.report(docs(list(enumerate(texts)))).collect()}
     assert [got[i] for i in range(len(texts))] == brute(texts)
+
+
+def test_rare_lines_pair_all_their_holders(spark, docs):
+    """Lines of one block whose first holders differ, and lines in another order in the first holder: the copy of a later one is found."""
+    five = [line(600 + i, 6) for i in range(5)]
+    data = [(1 + i, f"{line(640 + i)}\n{x}\n{line(650 + i)}") for i, x in enumerate(five)]
+    data += [(10, "\n".join([line(660), *five])), (11, "\n".join([*five, line(661)]))]
+    got = {r.doc_id: r for r in L.report(docs(data)).collect()}
+    assert got[11].deleted_lines == "0,1,2,3,4" and got[11].n_aligned == 5 and all(got[i].n_deleted == 0 for i in (1, 2, 3, 4, 5, 10))
+    a, b = line(670), line(671)
+    got = {r.doc_id: r for r in L.report(docs([(1, f"{a}\n{b}"), (2, f"{b}\n{a}"), (3, f"{b}\n{a}")])).collect()}
+    assert got[3].deleted_lines == "0,1" and got[3].n_aligned == 2
+
+
+def test_nothing_that_any_pair_aligns_is_lost(spark, docs):
+    """Patience diff of all pairs of documents, seeds or not, against the operator; and the share that its own alignment finds."""
+    pool = [line(i, [2, 5, 9, 13, 22][i % 5]) for i in range(60)]
+    rnd = random.Random(6)
+    texts = []
+    for _ in range(60):
+        at = rnd.randrange(50)
+        texts.append("\n".join([line(rnd.randrange(9000, 10**6), 7), *pool[at : at + rnd.randint(1, 9)], line(rnd.randrange(9000, 10**6), 7)]))
+    got = {r.doc_id: r for r in L.report(docs(list(enumerate(texts)))).collect()}
+    number, found, wanted = {}, 0, 0
+    rows = [[number.setdefault(x, len(number)) for x in t.split("\n")] for t in texts]
+    for j, b in enumerate(rows):
+        words_of = [len(x.split()) for x in texts[j].split("\n")]
+        want = {x for a in rows[:j] for x in L.blocks(L.patience(a, b), words_of, 20)}
+        assert want <= {int(x) for x in got[j].deleted_lines.split(",") if x}
+        wanted += len(want)
+        found += min(len(want), got[j].n_aligned)
+    assert wanted > 100 and found >= 0.95 * wanted
