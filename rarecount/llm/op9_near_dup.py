@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, stored
+from .common import connected_components, small, stored
 from .shingles import multipliers, shared, shingle_set, signature
 
 SYMBOLS = 64
@@ -40,6 +40,8 @@ DISTANCE = 25
 BINS, MOST_BINNED = 512, 50_000
 NEAREST = 4
 BLOCK = 2048
+#: Keys (three longs a row) up to which their table is broadcast.
+FEW_KEYS = 200_000
 PERCENT = 85
 
 
@@ -213,7 +215,9 @@ def near_duplicates(
         F.count("*").alias("members"), F.min("doc").alias("first"), F.bit_xor(h).alias("h1"), F.sum(F.shiftrightunsigned(h, 33)).alias("h2")
     )
     shared_keys = shared_keys.where("members > 1").groupBy("members", "first", "h1", "h2").agg(F.min("key").alias("key"))
-    many = stored(keys.join(shared_keys.select("key", "members", "first"), "key").select("key", "members", "first", "doc", "n"), "keys")
+    # Up to a size, keys aren't dealt out by value, so that one that very many hold makes no large task; above, a skewed join is split.
+    shared_keys = small(stored(shared_keys.select("key", "members", "first"), "shared"), FEW_KEYS)
+    many = stored(keys.join(shared_keys, "key").select("key", "members", "first", "doc", "n"), "keys")
 
     texts = df.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc"), F.col(text).alias("t"))
     star = many.where("doc <> first").select(F.col("first").alias("a"), F.col("doc").alias("b")).distinct()
@@ -222,7 +226,7 @@ def near_duplicates(
         merged = connected_components(links)
         comp = many.join(merged, many["doc"] == merged["node"], "left").select("key", "members", "doc", "n", F.coalesce("root", "doc").alias("comp"))
         open_keys = comp.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-        mixed = comp.join(open_keys, "key").join(reps.select("doc", "sig", "bins"), "doc")
+        mixed = comp.join(small(stored(open_keys, "open"), FEW_KEYS), "key").join(reps.select("doc", "sig", "bins"), "doc")
         more = stored(confirmed(block_pairs(mixed, percent, distance, block, nearest), texts, percent), "links")
         links = links.unionByName(more)
     copies = valid.select("doc", "set_id", F.col("n_shingles").alias("n"))
