@@ -164,9 +164,12 @@ def site_summaries(local: DataFrame, b: int, kind: str = "hll") -> DataFrame:
 
 
 def hll_terms(summaries: DataFrame, y: DataFrame) -> DataFrame:
-    d = summaries.join(y, "site", "left")
-    y_est = F.when(F.col("y").isNull(), 0).otherwise(F.hll_sketch_estimate("y"))
-    both = F.when(F.col("y").isNull(), F.hll_sketch_estimate("s")).otherwise(F.hll_sketch_estimate(F.hll_union("y", "s")))
+    """Estimates of native sketches depend on how they were put together. The union with itself has an estimate of its registers alone,
+    so that equal unions count alike whatever the route."""
+    plain = lambda x: F.hll_sketch_estimate(F.hll_union(x, x))
+    d = summaries.join(y, "site", "left").select("site", "y", "s", F.hll_union("y", "s").alias("ys"))
+    y_est = F.when(F.col("y").isNull(), 0).otherwise(plain("y"))
+    both = F.when(F.col("y").isNull(), F.hll_sketch_estimate("s")).otherwise(plain("ys"))
     return d.select("site", y_est.cast("double").alias("y_est"), both.cast("double").alias("ys_est")).withColumn("uniq_est", F.col("ys_est") - F.col("y_est"))
 
 
