@@ -31,6 +31,8 @@ EPOCHS = 2
 #: The budget is this share of all tokens, in thousandths.
 BUDGET_PER_MILLE = 1000
 RANGES = 256
+#: A word with the blanks before it.
+LEADING = r"[\x20\x09-\x0D]*[^\x20\x09-\x0D]+"
 LEVELS = ("domain", "language", "source")
 #: Weights of domains by name; other domains, all languages and all sources weigh 1.
 DOMAIN_WEIGHTS = {"web": 4, "books": 3, "code": 2, "forum": 1}
@@ -179,17 +181,20 @@ def drawn(
     seed: int = SEED,
     weights: dict[str, int] | None = None,
 ) -> DataFrame:
-    """``df``'s rows as often as the mix draws them, in their own columns.
+    """``df``'s rows as often as the mix draws them, in their own columns; the document in which a leaf's budget ends is cut after its last taken word.
 
     Rows are told apart by id (null is an id too), text and leaf; those equal in all get the most draws of any of them."""
     draws = _draws(df, id_col, text, lang, source, per_mille, epochs, seed, weights)
     keys = [F.col("tkey").alias("__t_key"), *[F.col(c).alias(f"__t_{c}") for c in LEVELS]]
-    times = draws.groupBy(F.col(id_col).alias("__t_id"), *keys).agg(F.max("epoch").alias("__top"))
+    times = draws.groupBy(F.col(id_col).alias("__t_id"), *keys).agg(F.max(F.struct("epoch", F.col("taken_tokens").alias("taken"))).alias("__last"))
     d = tagged(df, id_col, text, lang, source, seed).withColumn("__key", F.xxhash64(text))
     same = d[id_col].eqNullSafe(F.col("__t_id"))
     for c in ("key", *LEVELS):
         same = same & (F.col(f"__{c}") == F.col(f"__t_{c}"))
-    return d.join(times, same).withColumn("__draw", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__top")))).select(*df.columns)
+    d = d.join(times, same).withColumn("__draw", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__last.epoch"))))
+    cut = (F.col("__draw") == F.col("__last.epoch")) & (F.col("__last.taken") < F.col("__tokens"))
+    short = F.array_join(F.slice(F.regexp_extract_all(text, F.lit(LEADING), F.lit(0)), F.lit(1), F.greatest(F.lit(1), F.col("__last.taken")).cast("int")), "")
+    return d.select(*[F.when(cut, short).otherwise(F.col(c)).alias(c) if c == text else F.col(c) for c in df.columns])
 
 
 #: The same in DuckDB SQL, for the given tables; test of every step in integers.

@@ -48,4 +48,24 @@ def test_drawn_keeps_null_ids_and_tells_repeated_ids_apart(spark, docs):
         return sorted(((r.doc_id is None, r.doc_id or 0, r.n), r["count"]) for r in d.groupBy("doc_id", n.alias("n")).count().collect())
 
     assert any(r.doc_id is None for r in out.collect())
-    assert tally(out, F.size(F.split("text", " "))) == tally(mixed, F.col("n_tokens").cast("int"))
+    assert tally(out, F.size(F.split("text", " "))) == tally(mixed, F.col("taken_tokens").cast("int"))
+
+
+def test_drawn_stops_where_the_budget_of_a_leaf_ends(spark, docs):
+    df = docs([(i, "  " + " \n".join(words(20 + i % 7, i)) + "\t", "en", f"src{i % 13}") for i in range(300)])
+    mixed = M.mix(df)
+    out = M.drawn(df).select("doc_id", "text").collect()
+    got = sorted((r.doc_id, len(r.text.split())) for r in out)
+    assert got == sorted((r.doc_id, r.taken_tokens) for r in mixed.collect())
+    texts = {r.doc_id: r.text for r in df.collect()}
+    assert all(texts[r.doc_id].startswith(r.text) for r in out) and any(texts[r.doc_id] != r.text for r in out)
+    total = sum(len(t.split()) for t in texts.values())
+    assert sum(n for _, n in got) <= total
+
+
+def test_rows_of_one_id_are_drawn_by_their_text(spark, docs):
+    rows = [(1, " ".join(words(300, 1)), "en", "src0"), (1, " ".join(words(2, 2)), "en", "src0"), (2, " ".join(words(10, 3)), "en", "src0")]
+    df = docs(rows)
+    for mille in (100, 400, 900, 1000):
+        got = sorted(len(r.text.split()) for r in M.drawn(df, per_mille=mille).collect())
+        assert got == sorted(r.taken_tokens for r in M.mix(df, per_mille=mille).collect())
