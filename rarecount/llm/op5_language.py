@@ -58,10 +58,8 @@ def features(text: str | None) -> np.ndarray | None:
 
 def gathered(train: DataFrame, id_col: str, text: str, lang: str, per_language: int) -> DataFrame:
     """One pass over all training rows: sampled rows' features, and each task's document frequencies."""
-    sizes = {r[0]: r[1] for r in train.groupBy(lang).count().collect()}
-    rate = F.lit(0.0)
-    for name, n in sizes.items():
-        rate = F.when(F.col(lang) == name, min(1.0, per_language / n)).otherwise(rate)
+    # As many rows as the model has classes; a lookup, not an expression that grows with them.
+    rates = {str(r[0]): min(1.0, per_language / r[1]) for r in train.groupBy(F.col(lang).cast("string")).count().collect()}
     draw = F.crc32(F.concat(F.lit("sample|"), F.col(id_col).cast("string"))) / F.lit(2.0**32)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -69,7 +67,7 @@ def gathered(train: DataFrame, id_col: str, text: str, lang: str, per_language:
         df, docs = np.zeros(DIM, np.int64), 0
         for batch in batches:
             rows: list[tuple] = []
-            for t, name, pick in zip(batch.column(0), batch.column(1), batch.column(2), strict=True):
+            for t, name, drawn in zip(batch.column(0), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 f = features(t.as_py())
                 if f is None:
                     continue
@@ -77,16 +75,16 @@ def gathered(train: DataFrame, id_col: str, text: str, lang: str, per_language:
                 seen[f] = True
                 df += seen
                 docs += 1
-                if pick.as_py():
+                if drawn is not None and drawn < rates[name]:
                     i, n = np.unique(f, return_counts=True)
-                    rows.append((name.as_py(), i.astype("<u2").tobytes(), n.astype("<u4").tobytes()))
+                    rows.append((name, i.astype("<u2").tobytes(), n.astype("<u4").tobytes()))
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.string(), pa.binary(), pa.binary()), strict=True)], names=names)
         if docs:
             packed = zlib.compress(df.astype("<i8").tobytes(), 1)
             yield pa.RecordBatch.from_arrays([pa.array([None], pa.string()), pa.array([docs.to_bytes(8, "little")], pa.binary()), pa.array([packed], pa.binary())], names=names)
 
-    return train.select(F.col(text), F.col(lang).cast("string"), (draw < rate).alias("pick")).mapInArrow(run, "lang string, idx binary, cnt binary")
+    return train.select(F.col(text), F.col(lang).cast("string"), draw.alias("draw")).mapInArrow(run, "lang string, idx binary, cnt binary")
 
 
 def summed(parts: DataFrame, to: int = 8) -> tuple[int, np.ndarray]:
@@ -108,6 +106,13 @@ def summed(parts: DataFrame, to: int = 8) -> tuple[int, np.ndarray]:
     return sum(r["docs"] for r in rows), df
 
 
+def total(w: np.ndarray, f: np.ndarray) -> np.ndarray:
+    """The sum of the features' weights; for a long text by its counts, whose memory doesn't grow with it."""
+    if len(f) > DIM:
+        return np.bincount(f, minlength=DIM) @ w.astype(np.float64)
+    return np.take(w, f, axis=0).sum(axis=0, dtype=np.float64)
+
+
 def softmax(x: np.ndarray) -> np.ndarray:
     e = np.exp(x - x.max(axis=-1, keepdims=True))
     return e / e.sum(axis=-1, keepdims=True)
@@ -181,7 +186,7 @@ def predict(df: DataFrame, model: tuple[list[str], np.ndarray], text: str, keep:
                     lang.append("und")
                     score.append(0.0)
                     continue
-                p = softmax(np.take(w, f, axis=0).sum(axis=0, dtype=np.float64) / len(f))
+                p = softmax(total(w, f) / len(f))
                 best = int(p.argmax())
                 lang.append(names[best])
                 score.append(float(p[best]))

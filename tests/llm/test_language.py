@@ -24,3 +24,13 @@ def test_held_out_accuracy_and_edges(spark, docs):
 def test_nothing_to_learn(spark, docs):
     assert [r.lang_pred for r in N.identify(docs([(1, "abc", None)])).collect()] == ["und"]
     assert N.identify(docs([])).count() == 0
+
+
+def test_long_texts_sum_alike():
+    import numpy as np
+
+    from rarecount.llm import op5_language as N
+
+    r = np.random.default_rng(1)
+    w, f = r.standard_normal((N.DIM, 3)).astype(np.float32), r.integers(0, N.DIM, 3 * N.DIM)
+    assert np.allclose(N.total(w, f), w[f].sum(axis=0, dtype=np.float64), atol=1e-2)
