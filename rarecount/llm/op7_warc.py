@@ -8,7 +8,8 @@ equal payloads refer to the one with the smallest page id.
 
 Defined results: a null html is an empty payload; a null or repeated page id is written like any other
 (rows that share the smallest id of a payload are all responses); an empty table writes no archive
-and reads back as no rows; further columns are ignored. Payloads are streamed record by record.
+and reads back as no rows; further columns are ignored. Payloads are streamed record by record, after the first
+``HELD_BYTES`` at most, which the dictionary is trained on.
 """
 
 from __future__ import annotations
@@ -36,6 +37,8 @@ DATE = "2024-01-01T00:00:00Z"
 
 DICTIONARY_BYTES = 16_384
 SAMPLE_RECORDS, SAMPLE_BYTES = 256, 4096
+#: Records that wait for the dictionary take about so many bytes at most.
+HELD_BYTES = 8 << 20
 ROLL_BYTES = 64 << 20
 
 
@@ -133,10 +136,11 @@ def trained(samples: list[bytes]) -> zstandard.ZstdCompressionDict | None:
 
 def put_archive(stream, records: Iterator[bytes], roll: int) -> int:
     """Write records until ``roll`` bytes are passed; returns how many."""
-    first = []
+    first, held = [], 0
     for r in records:
         first.append(r)
-        if len(first) >= SAMPLE_RECORDS or sum(map(len, first[-1:])) > roll:
+        held += len(r)
+        if len(first) >= SAMPLE_RECORDS or held > min(roll, HELD_BYTES):
             break
     book = trained(first)
     raw = book.as_bytes() if book else b""
