@@ -171,33 +171,37 @@ class Network:
         return g
 
 
-def windows_of(words: list) -> list[list]:
-    return [words[i : i + WINDOW] for i in window_starts(len(words))] if words else []
+def window_table(ids: np.ndarray) -> np.ndarray:
+    """All windows of a text's word numbers, a row each; 0 pads the last one."""
+    begins = np.array(window_starts(len(ids)))
+    padded = np.zeros(int(begins[-1]) + WINDOW, ids.dtype)
+    padded[: len(ids)] = ids
+    return np.lib.stride_tricks.sliding_window_view(padded, WINDOW)[begins]
 
 
 def train(rows: list[tuple[str, int]], seed: int = 8) -> Network | None:
     """rows: (text, label)."""
-    docs = [(words_of(t), y) for t, y in rows]
-    docs = [(w, y) for w, y in docs if w]
-    if len({y for _, y in docs}) < 2:
+    # Words become numbers text by text, and windows rows of numbers, so that little more than these is held.
+    place: dict[bytes, int] = {}
+    tables, labels, seen = [], [], Counter()
+    for t, y in rows:
+        d = words_of(t)
+        if not d:
+            continue
+        ids = np.fromiter((place.setdefault(w, len(place) + 1) for w in d), np.int32, len(d))
+        seen.update(np.unique(ids).tolist())
+        tables.append(window_table(ids))
+        labels.append(y)
+    if len(set(labels)) < 2:
         return None
-    seen = Counter(w for d, _ in docs for w in set(d))
-    net = Network([w for w, n in seen.most_common(MOST_WORDS) if n >= LEAST_COUNT], seed)
+    names = list(place)
+    net = Network([names[i - 1] for i, n in seen.most_common(MOST_WORDS) if n >= LEAST_COUNT], seed)
     r = np.random.default_rng(seed)
-    wins, owner, label = [], [], []
-    for k, (d, y) in enumerate(docs):
-        for x in windows_of(d):
-            wins.append(x)
-            owner.append(k)
-            label.append(y)
-    owner_of, y_of = np.array(owner), np.array(label, np.float32)
-    starts = np.searchsorted(owner_of, np.arange(len(docs)))
-    names = sorted({w for x in wins for w in x})
-    place = {w: i + 1 for i, w in enumerate(names)}
-    table = np.zeros((len(wins), WINDOW), np.int64)
-    for k, x in enumerate(wins):
-        table[k, : len(x)] = [place[w] for w in x]
-    doc_y = np.array([y for _, y in docs])
+    doc_y, sizes = np.array(labels), [len(t) for t in tables]
+    table = np.concatenate(tables)
+    del tables, place
+    y_of = np.repeat(doc_y, sizes).astype(np.float32)
+    starts = np.concatenate(([0], np.cumsum(sizes)[:-1]))
     m = {k: np.zeros_like(v) for k, v in net.p.items()}
     v2 = {k: np.zeros_like(v) for k, v in net.p.items()}
     step = 0
@@ -208,7 +212,7 @@ def train(rows: list[tuple[str, int]], seed: int = 8) -> Network | None:
         if epoch >= epochs // 4:
             if (epoch - epochs // 4) % max(1, epochs // 12) == 0:
                 logit = scores(net, names, table)
-            worst = np.array([s + int(logit[s:e].argmax()) for s, e in zip(starts, [*starts[1:], len(wins)], strict=True)])
+            worst = np.array([s + int(logit[s:e].argmax()) for s, e in zip(starts, [*starts[1:], len(table)], strict=True)])
             pos = worst[doc_y == 1]
             hard = worst[doc_y == 0]
             most = max(512, 2 * len(pos))
@@ -219,7 +223,7 @@ def train(rows: list[tuple[str, int]], seed: int = 8) -> Network | None:
         pick = r.permutation(np.concatenate((pos, neg)))
         for at in range(0, len(pick), BATCH):
             part = pick[at : at + BATCH]
-            ids = table[part].copy()
+            ids = table[part].astype(np.int64)
             ids[(r.random(ids.shape) < 0.05) & (np.arange(WINDOW) > 0)] = 0
             own, local = np.unique(ids, return_inverse=True)
             local = local.reshape(ids.shape)
@@ -277,11 +281,8 @@ class Scorer:
             if not d:
                 counts.append(0)
                 continue
-            begins = np.array(window_starts(len(d)))
-            ids = np.zeros(int(begins[-1]) + WINDOW, np.int64)
-            ids[: len(d)] = np.fromiter(map(self.row.__getitem__, d), np.int64, len(d))
-            tables.append(np.lib.stride_tricks.sliding_window_view(ids, WINDOW)[begins])
-            counts.append(len(begins))
+            tables.append(window_table(np.fromiter(map(self.row.__getitem__, d), np.int64, len(d))))
+            counts.append(len(tables[-1]))
         out = [0.0] * len(texts)
         if tables:
             table = np.concatenate(tables)
