@@ -7,6 +7,8 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.sinks import shared_root
+
 #: A run of these splits words: blank and the ASCII controls tab to carriage return.
 BLANKS = r"[\x20\x09-\x0D]+"
 NOT_BLANK = r"[^\x20\x09-\x0D]"
@@ -15,14 +17,10 @@ NOT_BLANK = r"[^\x20\x09-\x0D]"
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share.
 
-    Read from ``spark.checkpoint.dir``. Only where the session has none (tests, local mode)
-    a folder of our own is taken.
+    Read from ``spark.checkpoint.dir``. Only in local mode, where all share one machine, a session
+    without it gets a folder of its own; a cluster must name one.
     """
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        known = spark.sparkContext._jsc.sc().getCheckpointDir()
-        root = known.get() if known.isDefined() else "file:///tmp/checkpoints"
-    return root.rstrip("/")
+    return shared_root(spark)
 
 
 def new_path(spark: SparkSession, label: str) -> str:

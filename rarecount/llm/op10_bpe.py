@@ -94,6 +94,8 @@ class ForcedBoundaryBpe:
         none = len(self.result)
         self.first_rank = {p: self.rank.get(p, none) for p in inside}
         self.split_special = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
+        #: A run without any of these holds no added token.
+        self.marks = {t[0] for t in self.special if t}
         self.fragments = Generations(self.fragment_texts, FRAGMENTS)
         self.words = Generations(self.word_texts, WORDS)
         self.chunks = Generations(self.chunk_texts, CHUNKS)
@@ -168,9 +170,10 @@ class ForcedBoundaryBpe:
 
     def chunk_texts(self, chunk: str) -> tuple[str, str]:
         """The same for a run without white space."""
-        if chunk.isascii() and chunk.isalpha():
+        marked = any(c in chunk for c in self.marks)
+        if not marked and chunk.isascii() and chunk.isalpha():
             return self.words[chunk.lower()]
-        parts = self.split_special.split(chunk) if self.split_special and "<" in chunk else [chunk]
+        parts = self.split_special.split(chunk) if marked else [chunk]
         got = []
         for k, part in enumerate(parts):
             if k % 2:

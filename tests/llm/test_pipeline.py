@@ -23,3 +23,12 @@ def test_stages_are_stored(spark, docs, tmp_path):
     files = out.inputFiles()
     assert files and all("/rarecount-source_mix-" in f for f in files)
     assert out.count() > 0
+
+
+def test_run_on_empty_and_clashing_tables(spark, docs, tmp_path):
+    text = " ".join(["the", "of", "and", "it"] * 5 + words(120, 1))
+    extra = docs([(1, text), (None, text + " x"), (3, None)]).selectExpr("*", "'a' as lines", "2 as comp", "3 as tokens", "4 as component_id")
+    for name, df in (("empty", docs([], extra=False)), ("clash", extra)):
+        df.write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        out = corpus_pipeline.run(spark, f"{tmp_path}/{name}")
+        assert out.count() == (0 if name == "empty" else 2)
