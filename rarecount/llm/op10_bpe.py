@@ -36,9 +36,12 @@ OTHER_SPLIT = re.compile("[\x1c-\x1f]")
 BY_SPACE = re.compile(f"[{SPACE}]+")
 #: The splitting pattern of the vocabulary file (fixed value), white space spelled out.
 PIECES = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|\p{{L}}+|\p{{N}}|[^{SPACE}\p{{L}}\p{{N}}]+")
+#: The same for runs of lower-case ASCII without white space; and runs that are one piece of Latin letters.
+ASCII_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9]+")
+LATIN = re.compile("[a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+")
 LONG = 200
 #: Entries of a cache's generation: of word pieces, of runs between white space, and of fragments.
-WORDS, CHUNKS, FRAGMENTS = 150_000, 30_000, 30_000
+WORDS, CHUNKS, FRAGMENTS = 150_000, 150_000, 30_000
 #: Characters of text that a worker turns into output at a time.
 SLICE = 2_000_000
 
@@ -95,7 +98,8 @@ class ForcedBoundaryBpe:
         self.first_rank = {p: self.rank.get(p, none) for p in inside}
         self.split_special = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         #: A run without any of these holds no added token.
-        self.marks = {t[0] for t in self.special if t}
+        marks = {t[0] for t in self.special if t}
+        self.marked = re.compile("[" + "".join(map(re.escape, sorted(marks))) + "]").search if marks else lambda chunk: None
         self.fragments = Generations(self.fragment_texts, FRAGMENTS)
         self.words = Generations(self.word_texts, WORDS)
         self.chunks = Generations(self.chunk_texts, CHUNKS)
@@ -170,18 +174,24 @@ class ForcedBoundaryBpe:
 
     def chunk_texts(self, chunk: str) -> tuple[str, str]:
         """The same for a run without white space."""
-        marked = any(c in chunk for c in self.marks)
-        if not marked and chunk.isascii() and chunk.isalpha():
-            return self.words[chunk.lower()]
-        parts = self.split_special.split(chunk) if marked else [chunk]
-        got = []
-        for k, part in enumerate(parts):
-            if k % 2:
-                got.append((str(self.special[part]), part))
-            elif part:
-                # Lower case character by character: a final sigma stays a plain one.
-                low = unicodedata.normalize("NFC", part).replace("Σ", "σ").lower()
-                got += map(self.words.__getitem__, PIECES.findall(low))
+        if self.marked(chunk) is None:
+            return self.run_texts(chunk)
+        parts = self.split_special.split(chunk)
+        got = [(str(self.special[x]), x) if k % 2 else self.run_texts(x) for k, x in enumerate(parts) if x]
+        return " ".join([g[0] for g in got]), " ".join([g[1] for g in got])
+
+    def run_texts(self, run: str) -> tuple[str, str]:
+        """The same for a run that holds no added token."""
+        if run.isascii():
+            low = run.lower()
+            pieces = (low,) if low.isalpha() else ASCII_PIECES.findall(low)
+        else:
+            # Lower case character by character: a final sigma stays a plain one.
+            low = unicodedata.normalize("NFC", run).replace("Σ", "σ").lower()
+            pieces = (low,) if LATIN.fullmatch(low) else PIECES.findall(low)
+        if len(pieces) == 1:
+            return self.words[pieces[0]]
+        got = list(map(self.words.__getitem__, pieces))
         return " ".join([g[0] for g in got]), " ".join([g[1] for g in got])
 
     def encode_text(self, text: str | None) -> tuple[str, str]:
