@@ -520,30 +520,14 @@ register(
 
 
 def _point(s: SparkSession, d: str) -> DataFrame:
-    loc = local(s, d, "suppkey")
-    return K.count_sketch_point(K.count_sketch(loc, _DEPTH, _WIDTH, ["site"]), P.merged(loc).where("v <= 20"), _DEPTH, _WIDTH)
-
-
-register(
-    "count_sketch_point",
-    _point,
-    with_(
-        Q.sample("suppkey", RATE, SITES), Q.LOCAL, _CS, "mc AS (SELECT row, bucket, sum(s) AS s FROM cs GROUP BY ALL)",
-        f"q AS (SELECT v, row, {Q.digest('cs', 'row', 'v')} AS d FROM (SELECT DISTINCT v FROM local WHERE v <= 20), (SELECT unnest(range(0, {_DEPTH}))::INTEGER AS row))",
-        select=f"SELECT v, median(coalesce(s, 0) * (1 - 2 * ({Q.bits('d', 1)} % 2)))::DOUBLE AS c_hat FROM q LEFT JOIN mc ON q.row = mc.row AND mc.bucket = {Q.bits('d', 0)} % {_WIDTH} GROUP BY v",
-    ),
-)
-
-
-def _points(s: SparkSession, d: str) -> DataFrame:
     """The point query for every value of the merged dictionary."""
     loc = local(s, d, "suppkey")
     return K.count_sketch_point(K.count_sketch(loc, _DEPTH, _WIDTH, ["site"]), P.merged(loc), _DEPTH, _WIDTH)
 
 
 register(
-    "count_sketch_points",
-    _points,
+    "count_sketch_point",
+    _point,
     with_(
         Q.sample("suppkey", RATE, SITES), Q.LOCAL, _CS, "mc AS (SELECT row, bucket, sum(s) AS s FROM cs GROUP BY ALL)",
         f"q AS (SELECT v, row, {Q.digest('cs', 'row', 'v')} AS d FROM (SELECT DISTINCT v FROM local), (SELECT unnest(range(0, {_DEPTH}))::INTEGER AS row))",
