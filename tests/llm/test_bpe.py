@@ -17,7 +17,7 @@ def both():
     return t, B.ForcedBoundaryBpe(B.vocabulary())
 
 
-CASES = ["", " ", "Hello, World's BEST!! 123 <|endoftext|>x<|startoftext|> <|ENDOFTEXT|>", "ΣΑΣ ς", "İstanbul ﬁ é", "a\x1cb\x1d c\x85d e", "x" * 3000, "ab" * 2000, "日本 🎉🎉 naïve", "don't we'll 'S ''s", "½ ² Ⅷ", "́ ́a", "<|", "z" * 199 + "İ"]
+CASES = ["", " ", "Hello, World's BEST!! 123 <|endoftext|>x<|startoftext|> <|ENDOFTEXT|>", "ΣΑΣ ς", "İstanbul ﬁ é", "a\x1cb\x1d c\x85d e", "x" * 3000, "ab" * 2000, "日本 🎉🎉 naïve", "don't we'll 'S ''s", "½ ² Ⅷ", "́ ́a", "<|", "z" * 199 + "İ", "12ab3 a'b x\x1f\x00y it's-ok", "ÀÉ×é÷x ßŸÿŒ ɐ Ǆ é Å"]
 
 
 def same(both, text):
