@@ -49,3 +49,17 @@ def test_tables_are_cut(spark, cut):
 @pytest.mark.parametrize("name", ["sketched_evidence", "gee_sketched", "chao_sketched", "chao_lee1_sketched_printed", "chao_lee1_sketched_literature", "shlosser_sketched", "gee_sketched_classes"])
 def test_sketched_estimates(spark, cut, name):
     same_as_sql(spark, cut, name)
+
+
+@pytest.mark.parametrize("name", ["success_rate", "errors_by_size_columns", "accuracy_grid", "f1_sensitivity"])
+def test_grids(spark, cut, name):
+    same_as_sql(spark, cut, name)
+
+
+def test_chosen_route(spark, cut):
+    """At four bits the sketch route is chosen on the small tables too; its evidence doesn't depend on the cut."""
+    from rarecount.plans.experiments import chosen_evidence
+
+    a, b = (chosen_evidence(spark, folder, "orderkey", b=4).first() for folder in (SF, cut))
+    assert a.route == b.route == "sketch" and a.n == b.n
+    assert abs(a.d - b.d) < 1e-9 * a.d and abs(a.f1 - b.f1) < 1e-6
