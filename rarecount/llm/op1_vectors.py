@@ -41,6 +41,8 @@ SALT, SMALL = 20_000, 20_000
 #: A point's graph lists come from this many of its cells.
 OVERLAP = 2
 DEGREE, LONG, BEAM, MEDOIDS, NEAR, OCCLUSION = 16, 2, 12, 24, 48, 1.2
+#: Numbers that a step of the Python side holds at once, about, whatever a block's density; queries that walk together.
+HELD, TOGETHER = 1 << 20, 512
 #: Range of the walk, as a multiple of the link angle; queries of a block that are held against all its points.
 WIDE, AUDIT = 2.0, 48
 
@@ -49,7 +51,7 @@ def robust_prune(x: np.ndarray, degree: int = DEGREE, near: int = NEAR, occlusio
     """Neighbour lists (-1 where there is none) of unit rows.
 
     The nearest candidate is kept; candidates that are nearer to a kept one than to the point itself, by the
-    factor, are dropped; and so on. Rows go in step, some hundred at a time, so that memory stays small.
+    factor, are dropped; and so on. Rows go in step, as many at a time as memory allows.
     """
     n = len(x)
     out = np.full((n, degree + LONG), -1, np.int64)
@@ -58,14 +60,16 @@ def robust_prune(x: np.ndarray, degree: int = DEGREE, near: int = NEAR, occlusio
     # A few links at random keep clusters in reach of each other.
     out[:, degree:] = np.random.default_rng(n).integers(0, n, (n, LONG))
     m = min(near, n - 1)
-    for at in range(0, n, 512):
-        rows = np.arange(min(512, n - at))
-        sims = x[at : at + 512] @ x.T
+    step = max(16, min(512, 2 * HELD // n))
+    for at in range(0, n, step):
+        rows = np.arange(min(step, n - at))
+        sims = x[at : at + step] @ x.T
         sims[rows, at + rows] = -np.inf
-        cand = np.argpartition(-sims, m - 1, axis=1)[:, :m]
+        np.negative(sims, out=sims)
+        cand = np.argpartition(sims, m - 1, axis=1)[:, :m]
         score = np.take_along_axis(sims, cand, 1)
-        order = np.argsort(-score, axis=1, kind="stable")
-        cand, dist = np.take_along_axis(cand, order, 1), 2 - 2 * np.take_along_axis(score, order, 1)
+        order = np.argsort(score, axis=1, kind="stable")
+        cand, dist = np.take_along_axis(cand, order, 1), 2 + 2 * np.take_along_axis(score, order, 1)
         points, alive = x[cand], np.ones_like(cand, bool)
         for k in range(degree):
             some = alive.any(axis=1)
@@ -131,7 +135,7 @@ def walk(adj: tuple[np.ndarray, np.ndarray], points: np.ndarray, queries: np.nda
             np.einsum("ij,ij->i", queries[own[part]], points[near[part]], out=sims[part])
         ok = sims >= wide
         if ok.any():
-            found.append((own[ok], near[ok], sims[ok]))
+            found.append((own[ok].astype(np.int32), near[ok].astype(np.int32), sims[ok]))
         return own, near, sims
 
     active, width = np.arange(q), max(min(beam, n), len(medoids))
@@ -165,23 +169,29 @@ def walk(adj: tuple[np.ndarray, np.ndarray], points: np.ndarray, queries: np.nda
         best[active], best_id[active] = np.take_along_axis(both, keep, 1), np.take_along_axis(both_id, keep, 1)
     at = 0
     while at < len(found):
-        rows, xs = np.concatenate([f[0] for f in found[at:]]), np.concatenate([f[1] for f in found[at:]])
-        at = len(found)
+        rows, xs, _ = found[at]
+        at += 1
         open_ = ~done[rows, xs]
-        rows, xs = rows[open_], xs[open_]
-        # A point may be a neighbour of several: each pair once.
-        counts = starts[xs + 1] - starts[xs]
-        if counts.sum():
-            own = np.repeat(rows, counts)
-            first = np.repeat(starts[xs] - np.concatenate(([0], np.cumsum(counts)[:-1])), counts)
+        rows, xs = rows[open_].astype(np.int64), xs[open_].astype(np.int64)
+        done[rows, xs] = True
+        # In a crowd every point has found all others: their neighbours are looked at in slices of bounded size.
+        ends = np.cumsum(starts[xs + 1] - starts[xs])
+        low = 0
+        while low < len(rows):
+            high = max(low + 1, int(np.searchsorted(ends, (ends[low - 1] if low else 0) + HELD, side="right")))
+            r, x = rows[low:high], xs[low:high]
+            low = high
+            counts = starts[x + 1] - starts[x]
+            own = np.repeat(r, counts)
+            first = np.repeat(starts[x] - np.concatenate(([0], np.cumsum(counts)[:-1])), counts)
             near = targets[first + np.arange(len(own))]
-            done[rows, xs] = True
+            # A point may be a neighbour of several: each pair once.
             key = np.unique((own * n + near)[~seen[own, near]])
             own, near = key // n, key % n
             seen[own, near] = True
             compare(own, near)
     if not found:
-        none = np.zeros(0, np.int64)
+        none = np.zeros(0, np.int32)
         return none, none, none.astype(points.dtype)
     return tuple(np.concatenate(x) for x in zip(*found, strict=True))
 
@@ -202,48 +212,70 @@ def link_block(
     queries, ids = np.concatenate((res, vis)), np.concatenate((res_id, vis_id))
     # Single precision leads the walk; links are verified in double.
     rough, wide = res.astype(np.float32), np.float32(np.cos(min(np.pi, WIDE * np.arccos(threshold))))
-    rows, xs = [], []
-    for at in range(0, len(queries), 1024):
-        q, x, sims = walk(adj, rough, queries[at : at + 1024].astype(np.float32), medoids, wide)
+    links = np.zeros((len(queries), -(-n // 8)), np.uint8)
+    for at in range(0, len(queries), TOGETHER):
+        part = queries[at : at + TOGETHER]
+        q, x, sims = walk(adj, rough, part.astype(np.float32), medoids, wide)
         ok = sims >= threshold - 1e-4
-        rows.append(q[ok] + at)
-        xs.append(x[ok])
-    rows, xs = np.concatenate(rows), np.concatenate(xs)
-    ok = (rows != xs) & (np.einsum("ij,ij->i", queries[rows], res[xs]) >= threshold)
-    rows, xs = rows[ok], xs[ok]
+        q, x = q[ok], x[ok]
+        hit = np.zeros((len(part), n), bool)
+        for some in range(0, len(q), 16_384):
+            own, near = q[some : some + 16_384], x[some : some + 16_384]
+            hit[own, near] = np.einsum("ij,ij->i", part[own], res[near]) >= threshold
+        links[at : at + TOGETHER] = packed(hit, at)
     # Residents find each other: what one of them found is a link of both.
-    both = xs[rows < n], rows[rows < n]
-    pair = np.unique(np.concatenate((rows * n + xs, both[0] * n + both[1])))
-    rows, xs = pair // n, pair % n
-    walked = np.bincount(rows, weights=res_n[xs], minlength=len(queries)).astype(np.int64)
+    mutual = np.unpackbits(links[:n], axis=1, count=n)
+    mutual |= mutual.T.copy()
+    links[:n] = np.packbits(mutual, axis=1)
+    del mutual
+    walked = weighed(links, res_n)
+    total = walked
     some = np.unique(np.linspace(0, len(queries) - 1, min(audit, len(queries))).astype(np.int64))
     if complete and len(some):
         exact = queries[some] @ res.T >= threshold
         exact[some[:, None] == np.arange(n)] = False
         if (exact @ res_n != walked[some]).any():
-            rows, xs = completed(queries, res, threshold)
-    total = np.bincount(rows, weights=res_n[xs], minlength=len(queries)).astype(np.int64)
+            links = completed(queries, res, threshold)
+            total = weighed(links, res_n)
     # The smallest label among linked points, both ways, until nothing changes.
-    label = ids.copy()
-    while len(rows):
+    label, linked = ids.copy(), np.flatnonzero(links.any(axis=1))
+    while len(linked):
         before = label.copy()
-        low = np.minimum(label[rows], label[xs])
-        np.minimum.at(label, rows, low)
-        np.minimum.at(label, xs, low)
+        for at in range(0, len(linked), TOGETHER // 2):
+            own = linked[at : at + TOGETHER // 2]
+            rows, xs = np.nonzero(np.unpackbits(links[own], axis=1, count=n))
+            rows = own[rows]
+            low = np.minimum(label[rows], label[xs])
+            np.minimum.at(label, rows, low)
+            np.minimum.at(label, xs, low)
         if (label == before).all():
             break
     return total, walked, label
 
 
-def completed(queries: np.ndarray, res: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray]:
-    """The exact completion of a block whose audit failed: all its pairs at the threshold."""
-    rows, xs = [], []
-    for at in range(0, len(queries), 512):
-        r, x = np.nonzero(queries[at : at + 512] @ res.T >= threshold)
-        rows.append(r + at)
-        xs.append(x)
-    rows, xs = np.concatenate(rows), np.concatenate(xs)
-    return rows[rows != xs], xs[rows != xs]
+def packed(hit: np.ndarray, at: int) -> np.ndarray:
+    """Rows of links, a bit for each resident; the first row's query is number ``at``, and none links with itself."""
+    own = np.arange(at, min(at + len(hit), hit.shape[1]))
+    hit[own - at, own] = False
+    return np.packbits(hit, axis=1)
+
+
+def weighed(links: np.ndarray, res_n: np.ndarray) -> np.ndarray:
+    """Each query's number of links, residents counted by their classes' sizes."""
+    out, n = np.zeros(len(links), np.int64), res_n.astype(float)
+    linked = np.flatnonzero(links.any(axis=1))
+    for at in range(0, len(linked), TOGETHER):
+        own = linked[at : at + TOGETHER]
+        out[own] = (np.unpackbits(links[own], axis=1, count=len(n)).astype(float) @ n).astype(np.int64)
+    return out
+
+
+def completed(queries: np.ndarray, res: np.ndarray, threshold: float) -> np.ndarray:
+    """The exact completion of a block whose audit failed: all its links at the threshold, as bits."""
+    links = np.zeros((len(queries), -(-len(res) // 8)), np.uint8)
+    for at in range(0, len(queries), TOGETHER):
+        links[at : at + TOGETHER] = packed(queries[at : at + TOGETHER] @ res.T >= threshold, at)
+    return links
 
 
 def unit(x: np.ndarray) -> np.ndarray:
@@ -322,6 +354,28 @@ def dealt(now: DataFrame, sizes: DataFrame, key: list[str], kind: str, block: in
     both = rows.unionByName(heads).repartition(*key, "salt").sortWithinPartitions(*key, "salt", F.col("pivots").isNull())
     slack = float(np.sqrt(2 - 2 * threshold)) + 1e-9
 
+    def visits(part, splits, head, p, half, gap):
+        """The part's rows in all cells that they visit, in batches of bounded size: in many dimensions a point may visit most cells."""
+        if splits:
+            v = unit(part.column(7).flatten().to_numpy().reshape(part.num_rows, head[1]).astype(float))
+            s = v @ p.T - half
+            best = s.argmax(axis=1)
+            top = s[np.arange(len(s)), best][:, None]
+            may = top - s <= slack * gap[best] + 1e-9
+            place = np.argsort(np.argsort(np.where(may, -s, np.inf), axis=1, kind="stable"), axis=1)
+            pick, cell = np.nonzero(may)
+            rank = part.column(8).to_numpy()[pick] + place[pick, cell]
+        else:
+            pick, rank = np.arange(part.num_rows), part.column(8).to_numpy()
+        for low in range(0, len(pick), 8192):
+            some = slice(low, low + 8192)
+            t = part.take(pa.array(pick[some], pa.int64()))
+            cells = pa.array([f"{head[2]}.{c}" for c in cell[some].tolist()], pa.string()) if splits else t.column(2)
+            yield pa.RecordBatch.from_arrays(
+                [t.column(0), t.column(1), cells, t.column(5), t.column(6), t.column(7), pa.array(rank[some], pa.int32()), t.column(9)],
+                names=["label", "dim", "cell", "cls", "n", "vec", "rank", "was"],
+            )
+
     def deal(batches):
         head, p, half, gap = None, None, None, None
         for batch in batches:
@@ -335,26 +389,8 @@ def dealt(now: DataFrame, sizes: DataFrame, key: list[str], kind: str, block: in
                     half = 0.5 * (p * p).sum(axis=1)
                     gap = np.sqrt(np.maximum(0, (2 * half)[:, None] + (2 * half)[None, :] - 2 * p @ p.T))
                     at += 1
-                part = batch.slice(at, end - at)
-                if not part.num_rows:
-                    continue
-                if where[end - 1] == head:
-                    v = unit(part.column(7).flatten().to_numpy().reshape(part.num_rows, head[1]).astype(float))
-                    s = v @ p.T - half
-                    best = s.argmax(axis=1)
-                    top = s[np.arange(len(s)), best][:, None]
-                    may = top - s <= slack * gap[best] + 1e-9
-                    place = np.argsort(np.argsort(np.where(may, -s, np.inf), axis=1, kind="stable"), axis=1)
-                    pick, cell = np.nonzero(may)
-                    rank = part.column(8).to_numpy()[pick] + place[pick, cell]
-                    cells = pa.array([f"{head[2]}.{c}" for c in cell.tolist()], pa.string())
-                else:
-                    pick, rank, cells = np.arange(part.num_rows), part.column(8).to_numpy(), part.column(2)
-                t = part.take(pa.array(pick, pa.int64()))
-                yield pa.RecordBatch.from_arrays(
-                    [t.column(0), t.column(1), cells, t.column(5), t.column(6), t.column(7), pa.array(rank, pa.int32()), t.column(9)],
-                    names=["label", "dim", "cell", "cls", "n", "vec", "rank", "was"],
-                )
+                for low in range(at, end, 1024):
+                    yield from visits(batch.slice(low, min(1024, end - low)), where[end - 1] == head, head, p, half, gap)
 
     return both.mapInArrow(deal, f"label string, dim int, cell string, cls long, n long, vec {kind}, rank int, was long")
 

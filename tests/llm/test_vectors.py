@@ -91,3 +91,22 @@ def test_pruning_drops_occluded_neighbours():
     x = V.unit(np.array([[1.0, 0.0], [1.0, 0.01], [1.0, 0.02], [0.0, 1.0]]))
     lists = V.robust_prune(x)
     assert lists[0, 0] == 1 and 2 not in lists[0, : V.DEGREE]
+
+
+def test_crowded_block_takes_little_memory():
+    """Two crowds of a thousand near copies each: links equal brute force, and no step holds all pairs' vectors or edges."""
+    import tracemalloc
+
+    x = clustered(13, 2, 1000, 64, 0.01)
+    ids, one = np.arange(1500), np.ones(1500, np.int64)
+    edges = V.edges_of(V.robust_prune(x[:1500]))
+    tracemalloc.start()
+    try:
+        links, walked, root = V.link_block(x[:1500], ids, one, edges, x[1500:], np.arange(1500, 2000), 0.98)
+        peak = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    exact = x @ x[:1500].T >= 0.98
+    assert (links == exact.sum(axis=1) - (np.arange(2000) < 1500)).all() and (walked == links).all()
+    assert set(root) == {0, 1000}
+    assert peak < 150e6, peak
