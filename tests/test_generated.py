@@ -31,3 +31,9 @@ def test_communication_is_no_single_task(spark):
     df = X._communication_generated(spark, SF)
     assert "Coalesce 1" not in M.plan_text(df)
     assert df.agg(F.max("sent")).first()[0] <= 2 << 14
+
+
+def test_values_are_keys_of_the_table(spark):
+    """The populations whose errors are measured are made of the table's rows, not of its number of rows."""
+    sample, _ = X.generated(spark, SF, "poisson", 50.0, keyed_by_part=True)
+    assert "FileScan parquet [p_partkey" in M.plan_text(sample) and "Range (" not in M.plan_text(sample)
