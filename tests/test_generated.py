@@ -37,3 +37,18 @@ def test_values_are_keys_of_the_table(spark):
     """The populations whose errors are measured are made of the table's rows, not of its number of rows."""
     sample, _ = X.generated(spark, SF, "poisson", 50.0, keyed_by_part=True)
     assert "FileScan parquet [p_partkey" in M.plan_text(sample) and "Range (" not in M.plan_text(sample)
+
+
+def test_tables_carry_the_counts(spark):
+    """Numbers of merges and of registers follow from the tables' own rows, by the same formulas."""
+    from rarecount.operators import analysis as A
+    from rarecount.plans import registry
+
+    for name in ("merge_counts", "sketch_sizes"):
+        df = registry.queries()[name](spark, SF)
+        assert "FileScan parquet" in M.plan_text(df)
+        for r in df.collect():
+            if name == "merge_counts":
+                assert 1 <= r.k <= r.assigned and r.merges == M.merge_count(r.route, r.k)
+            else:
+                assert (r.b_fit, r.b_bound) == (A.b_for(r.eps, r.c), A.b_for(r.eps, r.c, "bound"))
