@@ -10,6 +10,7 @@ from test_queries import plain
 
 from rarecount.operators import metrics as M
 from rarecount.operators import populations as L
+from rarecount.plans import experiments as X
 from rarecount.plans import registry
 
 SF = "/root/testdata/sf0.001"
@@ -63,7 +64,7 @@ def test_counts_follow_the_laws(spark):
     assert {(r.data, r.i): r.f for r in rows} == {at: f for at, f in want.items() if f}
 
 
-@pytest.mark.parametrize("name", ["generated_profiles", "generated_poisson_order"])
+@pytest.mark.parametrize("name", ["generated_profiles", "generated_poisson_order", "singletons_at_scale"])
 def test_values_are_keys_of_the_table(spark, name):
     plan = M.plan_text(registry.queries()[name](spark, SF))
     assert "FileScan parquet [o_orderkey" in plan and "Range (1, " not in plan
@@ -82,3 +83,29 @@ def test_order_on_odd_tables(spark, tmp_path, odd):
     assert (row["falls"] == "None") == (odd in ("none", "nulls")) and row["falls"] != "False"
     if odd == "odd":
         assert row["as_expected"] == "True"
+
+
+def test_expected_numbers_are_near_the_laws(spark):
+    """The keys' counts carry the laws: sums over them are near those over all counts, the size of the population is not that of the table."""
+    q = X.LOW_RATE
+    laws = {name: (kind, x) for name, kind, x in X.DATA}
+    keys = L.keys_of(spark.read.parquet("/root/testdata/sf0.01/orders.parquet"), "o_orderkey")
+    rows = X.expected_samples(keys).collect()
+    assert len(rows) == len(X.DATA) * len(X.SCALES)
+    for r in rows:
+        kind, x = laws[r.data]
+        number = X.number_of_values(kind, x, r.rows_all)
+        if kind == "poisson":
+            t = x * q
+            d, f1 = number * (1 - math.exp(-t)), number * t * math.exp(-t)
+        else:
+            p = [i ** (-1 / x) - (i + 1) ** (-1 / x) for i in range(1, 5001)]
+            d = number * (sum(f * (1 - math.exp(-i * q)) for i, f in enumerate(p, 1)) + 5001 ** (-1 / x))
+            f1 = number * sum(f * i * q * math.exp(-i * q) for i, f in enumerate(p, 1))
+        assert abs(r.d - d) < 0.08 * d and abs(r.f1 - f1) < 0.08 * f1, r
+
+
+@pytest.mark.parametrize("odd", ["none", "one", "odd"])
+def test_scale_on_odd_tables(spark, tmp_path, odd):
+    rows = same_as_sql(spark, folder(spark, tmp_path, ODD[odd]), "singletons_at_scale")
+    assert len(rows) == 18 and all((r["d"] == "None") == (odd == "none") for r in rows)
